@@ -2,7 +2,7 @@
 
 Every document's set of word shingles is sketched by minwise hashes. A tree sends documents down
 branches named by the minwise tokens that they hold: the root branches on one coordinate, a node
-with more than ``leaf`` documents on two more, chosen by the node itself. Two sets of similarity
+with more than ``leaf`` documents on two more, chosen by the node itself, if that thins it. Two sets of similarity
 s meet under one coordinate with probability s, so independent trees reach any recall. Leaves are
 searched exhaustively on sketches, which yields candidate groups; inside a group every link is
 then confirmed on the full sets. Both searches walk breadth first: what is already known to be
@@ -171,18 +171,22 @@ def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf
 
     roots = F.explode(F.array(*[F.xxhash64(F.lit(t), _token(F.lit(t))) for t in range(trees)]))
     level, leaves = reps.select(roots.alias("node"), "doc_id", "n", "sketch"), []
+    coords = [F.pmod(F.xxhash64("node", F.lit(b)), F.lit(COORDS)).cast("int") for b in (1, 2)]
     for d in range(depth + 1):
-        sized = level.groupBy("node").agg(F.count("*").alias("members")).filter("members > 1")
-        sized = cut(sized, "nodes")
-        small = sized if d == depth else sized.filter(F.col("members") <= leaf)
-        leaves.append(level.join(small, "node"))
-        if d == depth or sized.filter(F.col("members") > leaf).isEmpty():
+        sized = cut(level.groupBy("node").agg(F.count("*").alias("members")).filter("members > 1"), "nodes")
+        large = sized.filter(F.col("members") > leaf)
+        if d == depth or large.isEmpty():
+            leaves.append(level.join(sized, "node"))
             break
-        large = level.join(sized.filter(F.col("members") > leaf).select("node"), "node")
-        coords = [(F.pmod(F.xxhash64("node", F.lit(b)), F.lit(COORDS))).cast("int") for b in (1, 2)]
-        level = large.select(
-            F.explode(F.array(*[F.xxhash64("node", F.lit(b), _token(c)) for b, c in zip((1, 2), coords, strict=True)])).alias("node"), "doc_id", "n", "sketch"
-        )
+        # two branches thin a node only where no token is held by half of it; near copies are a leaf of any size
+        top = level.join(large, "node").groupBy("node", "members", _token(coords[0]).alias("token")).agg(F.count("*").alias("holders"))
+        thick = top.groupBy("node", "members").agg(F.max("holders").alias("most")).filter("2 * most > members").select("node")
+        split = cut(large.join(thick, "node", "left_anti").select("node"), "split")
+        leaves.append(level.join(sized.join(split, "node", "left_anti"), "node"))
+        if split.isEmpty():
+            break
+        branches = F.array(*[F.xxhash64("node", F.lit(b), _token(c)) for b, c in zip((1, 2), coords, strict=True)])
+        level = cut(level.join(split, "node").select(F.explode(branches).alias("node"), "doc_id", "n", "sketch"), "level")
     found = leaves[0]
     for more in leaves[1:]:
         found = found.union(more)
