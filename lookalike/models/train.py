@@ -69,7 +69,12 @@ def propagate(x: np.ndarray, s: Sample, norm: np.ndarray) -> np.ndarray:
     return out * norm[:, None]
 
 
-def fit_gcn(s: Sample, hidden: int = 16, epochs: int = 100, lr: float = 0.05, seed: int = 0, start: Gcn | None = None, on: np.ndarray | None = None, sensitive: np.ndarray | None = None, strength: float = 0.0, decay: float = 5e-4, balance: bool = True) -> Gcn:
+def balanced_accuracy(got: np.ndarray, y: np.ndarray) -> float:
+    """Mean over classes of the share of their rows that are right."""
+    return float(np.mean([(got[y == c] == c).mean() for c in np.unique(y)]))
+
+
+def fit_gcn(s: Sample, hidden: int = 16, epochs: int = 100, lr: float = 0.02, seed: int = 0, start: Gcn | None = None, on: np.ndarray | None = None, sensitive: np.ndarray | None = None, strength: float = 0.0, decay: float = 5e-4, balance: bool = True) -> Gcn:
     """Full-batch gradient descent with momentum estimates, a fixed seed and the best validation epoch.
 
     ``balance`` weighs rows so that every class counts alike. ``start`` continues a model and ``on`` names the rows to fit instead of the training split.
@@ -115,13 +120,13 @@ def fit_gcn(s: Sample, hidden: int = 16, epochs: int = 100, lr: float = 0.05, se
             m[0] = 0.9 * m[0] + 0.1 * grad
             m[1] = 0.999 * m[1] + 0.001 * grad * grad
             prm -= lr * (m[0] / (1 - 0.9**step)) / (np.sqrt(m[1] / (1 - 0.999**step)) + 1e-8)
-        acc = float((z[valid].argmax(1) == y[valid]).mean()) if len(valid) and on is None else float(step)
+        acc = balanced_accuracy(z[valid].argmax(1), y[valid]) if len(valid) and on is None else float(step)
         if acc > best_acc:
             best, best_acc = (w1.copy(), w2.copy(), b.copy()), acc
     return Gcn(*best, classes)
 
 
-def fit(kind: str, graph: AnchoredGraph, epochs: int = 100, lr: float = 0.05, seed: int = 0, **how):
+def fit(kind: str, graph: AnchoredGraph, epochs: int = 100, lr: float = 0.02, seed: int = 0, **how):
     """``gcn``, ``cluster_gcn`` or ``linear``: a fitted model with ``predict(graph)``."""
     if kind == "linear":
         return LinearPropagation.fit(graph, **how)
@@ -131,7 +136,7 @@ def fit(kind: str, graph: AnchoredGraph, epochs: int = 100, lr: float = 0.05, se
     return fit_gcn(s, epochs=epochs, lr=lr, seed=seed, **how)
 
 
-def fit_batches(s: Sample, blocks: int = 4, epochs: int = 100, lr: float = 0.05, seed: int = 0, rounds: int = 3) -> Gcn:
+def fit_batches(s: Sample, blocks: int = 4, epochs: int = 100, lr: float = 0.02, seed: int = 0, rounds: int = 3) -> Gcn:
     """Cluster batches: nodes take the least label of their neighbourhood a few times, are dealt to ``blocks`` by it,
     and each round fits every block's subgraph in turn, dropping edges between blocks."""
     lab = np.arange(len(s.ids))

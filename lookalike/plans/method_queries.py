@@ -695,7 +695,7 @@ def sage_layer(spark, sf_dir):
 
 
 def _page_model(spark, sf_dir, kind="gcn", **how):
-    g = W.page_graph(spark, sf_dir)
+    g = W.page_near_graph(spark, sf_dir)
     return g, train.fit(kind, g, **how)
 
 
@@ -772,7 +772,7 @@ def pairs_by_model(spark, sf_dir):
 
 
 def _tuned(spark, sf_dir):
-    g = W.page_graph(spark, sf_dir)
+    g = W.page_near_graph(spark, sf_dir)
     s = train.sample(g)
     model = train.fit_gcn(s, epochs=60)
     judged = g.nodes.join(model.predict(g).select("node_id", "verdict"), "node_id").filter("split = 'test'")
@@ -801,6 +801,6 @@ def finetune_fixed(spark, sf_dir):
 
 @query("edge_mask_flip")
 def edge_mask_flip(spark, sf_dir):
-    g = W.page_graph(spark, sf_dir)
+    g = W.page_near_graph(spark, sf_dir)
     model = train.fit_gcn(train.sample(g), epochs=40)
     return errors.edge_mask_flip(g, model.predict, 7, 1).withColumn("removed", F.array_join("removed", ","))

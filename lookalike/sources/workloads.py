@@ -113,7 +113,7 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), 1)).alias("target")).distinct()
 
 
-def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int | None = 200) -> AnchoredGraph:
+def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int | None = 8) -> AnchoredGraph:
     """Pages that share a link target; hashed body terms; the page's language as label.
 
     A target of more than ``max_group`` pages links all with all and says little; it is left out.
@@ -131,6 +131,13 @@ def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int
     return AnchoredGraph(cut(nodes, "nodes"), cut(edges, "edges"))
 
 
+def page_near_graph(spark: SparkSession, sf_dir: str, tau: float = 0.92) -> AnchoredGraph:
+    """Pages of alike term vectors. Link targets here tie pages of different languages together, which a
+    convolution can only blur; this graph is the one that models are fitted on."""
+    nodes = page_graph(spark, sf_dir).nodes
+    return AnchoredGraph(nodes, cut(G.epsilon(nodes, tau), "edges"))
+
+
 def conv_graph(spark: SparkSession, sf_dir: str) -> AnchoredGraph:
     """Turns in a row: a path graph of degree two at most."""
     c = table(spark, sf_dir, "conversations")
@@ -151,7 +158,7 @@ def user_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return agg.select(F.col("user_id").alias("node_id"), F.concat("n", F.array("mean", "top")).alias("x"), (F.array_position("n", F.array_max("n")) - 1).cast("int").alias("label"))
 
 
-WORKLOADS = {"parts": part_graph, "embeddings": emb_graph, "customers": cust_graph, "documents": doc_graph, "pages": page_graph, "turns": conv_graph}
+WORKLOADS = {"parts": part_graph, "embeddings": emb_graph, "customers": cust_graph, "documents": doc_graph, "pages": page_graph, "near_pages": page_near_graph, "turns": conv_graph}
 
 
 def build(spark: SparkSession, name: str, sf_dir: str, **how) -> AnchoredGraph:
