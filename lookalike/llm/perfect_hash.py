@@ -34,11 +34,12 @@ class PerfectHash:
 
 
 _M = (1 << 64) - 1
-_ODD = 0x9E3779B97F4A7C15
+_ODD, _MUL = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 
 
 def slot_of(h: int, shift, buckets: int, n: int) -> int:
-    z = ((h + int(shift[(h >> 40) % buckets]) * _ODD) & _M) * 0xBF58476D1CE4E5B9 & _M
+    z = (h ^ (int(shift[(h >> 40) % buckets]) * _ODD & _M)) * _MUL & _M
+    z = (z ^ z >> 32) * _MUL & _M
     return (z >> 29) % n
 
 
@@ -61,7 +62,9 @@ def displacements(h: np.ndarray) -> np.ndarray:
             first = 0
             while True:
                 ds = np.arange(first, first + 64, dtype=np.uint64)
-                z = (k[None, :] + ds[:, None] * np.uint64(_ODD)) * np.uint64(0xBF58476D1CE4E5B9)
+                # exclusive or, then two rounds: displacements must move two keys apart, not just along
+                z = (k[None, :] ^ (ds[:, None] * np.uint64(_ODD))) * np.uint64(_MUL)
+                z = (z ^ (z >> np.uint64(32))) * np.uint64(_MUL)
                 s = ((z >> np.uint64(29)) % np.uint64(n)).astype(np.int64)
                 ok = ~used[s].any(1)
                 if len(k) > 1:
@@ -73,6 +76,6 @@ def displacements(h: np.ndarray) -> np.ndarray:
                     used[s[hit[0]]] = True
                     break
                 first += 64
-                if first > 1 << 31:
+                if first > 1 << 26:
                     raise ValueError("no displacement found")
     return shift
