@@ -16,14 +16,15 @@ INTERVALS, POINTS = 400, 2001
 
 
 def cap_integral(a: float, theta: float, dim: int, intervals: int = INTERVALS) -> float:
-    """``g(a)`` by Simpson's rule."""
+    """``g(a)`` by Simpson's rule in ``u = sqrt(theta - t)``, which takes the root out of the integrand's end."""
     if a >= theta:
         return 0.0
-    t = a + (theta - a) * np.arange(intervals + 1) / intervals
-    y = np.maximum(0.0, 1.0 - (math.cos(theta) / np.cos(t)) ** 2) ** ((dim - 2) / 2)
+    top = math.sqrt(theta - a)
+    u = top * np.arange(intervals + 1) / intervals
+    y = 2 * u * np.maximum(0.0, 1.0 - (math.cos(theta) / np.cos(theta - u * u)) ** 2) ** ((dim - 2) / 2)
     w = np.where(np.arange(intervals + 1) % 2, 4.0, 2.0)
     w[[0, -1]] = 1.0
-    return float((theta - a) / intervals / 3 * (w * y).sum())
+    return float(top / intervals / 3 * (w * y).sum())
 
 
 def cap_fraction(theta: float, dim: int) -> float:

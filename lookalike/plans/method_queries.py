@@ -223,9 +223,9 @@ def local_no_candidate(spark, sf_dir):
 # --- index ---
 
 _GRID = [(d, phi) for d in (2, 3, 8, 18, 27, 64, 128, 500) for phi in (10, 30, 45, 60, 90)]
-_G = """, v AS (SELECT unnest([{ds}]) AS dim), q AS (SELECT dim, phi, radians(phi) / 2 AS a FROM v, (SELECT unnest([0, 10, 30, 45, 60, 90]) AS phi)),
-g AS (SELECT dim, phi, ((pi() / 3 - a) / 400 / 3) * sum((CASE WHEN i IN (0, 400) THEN 1.0 WHEN i % 2 = 1 THEN 4.0 ELSE 2.0 END) * pow(greatest(0.0, 1.0 - pow(0.5 / cos(a + (pi() / 3 - a) * i / 400), 2)), (dim - 2) / 2.0)) AS g
- FROM q, range(0, 401) t(i) GROUP BY dim, phi, a)"""
+_G = """, v AS (SELECT unnest([{ds}]) AS dim), q AS (SELECT dim, phi, sqrt(pi() / 3 - radians(phi) / 2) AS top FROM v, (SELECT unnest([0, 10, 30, 45, 60, 90]) AS phi)),
+g AS (SELECT dim, phi, (top / 400 / 3) * sum((CASE WHEN i IN (0, 400) THEN 1.0 WHEN i % 2 = 1 THEN 4.0 ELSE 2.0 END) * 2 * (top * i / 400) * pow(greatest(0.0, 1.0 - pow(cos(pi() / 3) / cos(pi() / 3 - pow(top * i / 400, 2)), 2)), (dim - 2) / 2.0)) AS g
+ FROM q, range(0, 401) t(i) GROUP BY dim, phi, top)"""
 _DIMS = "2, 3, 8, 18, 27, 64, 128, 500"
 
 

@@ -125,9 +125,9 @@ def lloyd(layer: int, m: int, rounds: int, weight: str | None = None) -> str:
 
 def cap_table(dim: int, theta: float = math.pi / 3, points: int = 2001, intervals: int = 400) -> str:
     """``tab(t)``: the weight table as one list."""
-    return f"""gi AS (SELECT j, (({theta!r} - a) / {intervals} / 3) * sum((CASE WHEN q IN (0, {intervals}) THEN 1.0 WHEN q % 2 = 1 THEN 4.0 ELSE 2.0 END)
-  * pow(greatest(0.0, 1.0 - pow(cos({theta!r}) / cos(a + ({theta!r} - a) * q / {intervals}), 2)), ({dim} - 2) / 2.0)) AS g
-  FROM (SELECT j, {theta!r} * j / {points - 1} AS a FROM range(0, {points}) t(j)), range(0, {intervals + 1}) s(q) GROUP BY j, a),
+    return f"""gi AS (SELECT j, (top / {intervals} / 3) * sum((CASE WHEN q IN (0, {intervals}) THEN 1.0 WHEN q % 2 = 1 THEN 4.0 ELSE 2.0 END)
+  * 2 * (top * q / {intervals}) * pow(greatest(0.0, 1.0 - pow(cos({theta!r}) / cos({theta!r} - pow(top * q / {intervals}, 2)), 2)), ({dim} - 2) / 2.0)) AS g
+  FROM (SELECT j, sqrt({theta!r} - least({theta!r}, {theta!r} * j / {points - 1})) AS top FROM range(0, {points}) t(j)), range(0, {intervals + 1}) s(q) GROUP BY j, top),
 tab AS MATERIALIZED (SELECT list(CASE WHEN j < {points - 1} AND g > 0 THEN 1.0 - g / g0 ELSE 1.0 END ORDER BY j) AS t FROM gi, (SELECT g AS g0 FROM gi WHERE j = 0))"""
 
 
