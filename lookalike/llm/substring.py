@@ -1,6 +1,6 @@
 """Substring dedup: content-defined chunks by a gear rolling hash, duplicates by digest.
 
-A chunk ends where the gear hash of the last 16 bytes hits a mask, moved on to the next white
+A chunk ends where the gear hash of the last 8 bytes falls below a bound, moved on to the next white
 space, so boundaries follow content and an insertion shifts nothing. A chunk that also stands in
 a document with a smaller id is a duplicate; a run of neighbouring duplicates of at least
 ``min_words`` words is cut out. One digest alone removes nothing: a run needs several digests in
@@ -20,8 +20,9 @@ from pyspark.sql import types as T
 
 from .common import ship
 
-#: Mask on bits 11 to 15 of the gear hash: a cut every 32 bytes on average.
-MASK = 0xF800
+#: A cut where the 8-bit gear hash is below this: every 26 bytes on average. Short chunks and a
+#: short window leave little of a repeated passage at its two ends.
+BELOW = 10
 #: Words that a run of duplicate chunks must have to be cut out.
 MIN_WORDS = 25
 #: Where the next white space is further than this, a chunk ends in mid-word.
@@ -29,18 +30,18 @@ REACH = 64
 
 
 def gear_table() -> np.ndarray:
-    """One 16-bit value per byte, from a fixed rule."""
-    return np.array([xxhash.xxh3_64_intdigest(bytes((b,)), 11) & 0xFFFF for b in range(256)], np.uint16)
+    """One 8-bit value per byte, from a fixed rule."""
+    return np.array([xxhash.xxh3_64_intdigest(bytes((b,)), 11) & 0xFF for b in range(256)], np.uint8)
 
 
 GEAR = gear_table()
 
 
 def gear_hash(raw: np.ndarray) -> np.ndarray:
-    """The rolling gear hash after each byte: sum of ``GEAR[byte] << age``, ages 0 to 15, by doubling the window."""
+    """The rolling gear hash after each byte: sum of ``GEAR[byte] << age``, ages 0 to 7, by doubling the window."""
     h = GEAR[raw]
-    for w in (1, 2, 4, 8):
-        older = h[:-w] << np.uint16(w)
+    for w in (1, 2, 4):
+        older = h[:-w] << np.uint8(w)
         h = h.copy()
         h[w:] += older
     return h
@@ -52,7 +53,7 @@ def boundaries(raw: bytes) -> np.ndarray:
     if not n:
         return np.zeros(0, np.int64)
     b = np.frombuffer(raw, np.uint8)
-    hits = np.flatnonzero((gear_hash(b) & np.uint16(MASK)) == 0)
+    hits = np.flatnonzero(gear_hash(b) < BELOW)
     if not len(hits):
         return np.array([n], np.int64)
     blank = np.append(np.flatnonzero(b <= 32), n)
