@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.ml.functions import array_to_vector, vector_to_array
 from pyspark.ml.stat import Summarizer
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
-from ..session import cut
+from ..session import cut, ship
 from .graph import AnchoredGraph
+from .kernels import matrix
 
 
 def neighbour_mean(nodes: DataFrame, both: DataFrame) -> DataFrame:
@@ -28,9 +31,59 @@ def neighbour_mean(nodes: DataFrame, both: DataFrame) -> DataFrame:
     return msg.groupBy(F.col("src").alias("node_id")).agg(vector_to_array(Summarizer.mean(array_to_vector("m"))).alias("m"))
 
 
-def refine_once(nodes: DataFrame, both: DataFrame, alpha: float) -> DataFrame:
-    """One round: ``alpha`` of the own vector and the rest of the neighbours' mean; without neighbours that part is 0."""
-    m = neighbour_mean(nodes, both)
+#: Edges that a bucket's kernel works on at a time.
+EDGE_CHUNK = 100_000
+
+
+def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None) -> DataFrame:
+    """:func:`neighbour_mean` with one vector per neighbour *and bucket* of receivers on the wire.
+
+    Edges are first gathered per (neighbour, bucket of the receiving node), ids only. A neighbour's
+    vector then travels once to every bucket that needs it, not once per edge, and meets its
+    receivers in an Arrow kernel. Choose ``buckets`` so that a bucket's vectors fit a task
+    (default: the number of shuffle partitions).
+    """
+    spark = nodes.sparkSession
+    ship(spark)
+    b = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    bucket = lambda c: F.pmod(F.xxhash64(c), F.lit(b)).cast("int")
+    lists = both.groupBy(F.col("dst").alias("node_id"), bucket("src").alias("bucket")).agg(F.collect_list("src").alias("srcs"))
+    sent = lists.join(nodes.select("node_id", "x"), "node_id").select(F.col("bucket").alias("to"), F.col("x").alias("y"), "srcs")
+    own = nodes.select(bucket("node_id").alias("bucket"), F.col("node_id").alias("node_id"), F.col("x").alias("x"))
+
+    def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        ids = left.column("node_id").to_numpy()
+        order = np.argsort(ids, kind="stable")
+        ids, schema = ids[order], pa.schema([("node_id", pa.int64()), ("m", pa.list_(pa.float64()))])
+        if not len(ids) or not right.num_rows:
+            return schema.empty_table()
+        x, y = matrix(left.column("x"))[order], matrix(right.column("y"))
+        nx, ny = np.linalg.norm(x, axis=1), np.linalg.norm(y, axis=1)
+        lens = np.concatenate([c.value_lengths().to_numpy(zero_copy_only=False) for c in right.column("srcs").chunks])
+        to = np.searchsorted(ids, np.concatenate([c.flatten().to_numpy(zero_copy_only=False) for c in right.column("srcs").chunks]))
+        frm = np.repeat(np.arange(len(y)), lens)
+        by = np.argsort(to, kind="stable")
+        to, frm = to[by], frm[by]
+        total, deg = np.zeros_like(x), np.bincount(to, minlength=len(ids))
+        for at in range(0, len(to), EDGE_CHUNK):
+            i, j = to[at : at + EDGE_CHUNK], frm[at : at + EDGE_CHUNK]
+            n = nx[i] * ny[j]
+            cos = np.divide(np.einsum("ij,ij->i", x[i], y[j]), n, out=np.zeros(len(i)), where=n > 0)
+            first = np.flatnonzero(np.concatenate(([True], i[1:] != i[:-1])))
+            total[i[first]] += np.add.reduceat(cos[:, None] * y[j], first, axis=0)
+        has = np.flatnonzero(deg)
+        m = (total[has] / deg[has, None]).ravel()
+        return pa.Table.from_arrays([pa.array(ids[has]), pa.ListArray.from_arrays(np.arange(0, len(m) + 1, x.shape[1], dtype=np.int32), pa.array(m))], schema=schema)
+
+    return own.groupBy("bucket").cogroup(sent.groupBy("to")).applyInArrow(run, "node_id long, m array<double>")
+
+
+def refine_once(nodes: DataFrame, both: DataFrame, alpha: float, engine: str = "sql") -> DataFrame:
+    """One round: ``alpha`` of the own vector and the rest of the neighbours' mean; without neighbours that part is 0.
+
+    ``sql`` stays in the JVM and moves a vector per edge; ``bucket`` moves one per neighbour and bucket.
+    """
+    m = neighbour_mean(nodes, both) if engine == "sql" else bucket_mean(nodes, both)
     keep = [c for c in nodes.columns if c != "x"]
     mixed = F.when(F.col("m").isNull(), V.scale("x", F.lit(float(alpha)))).otherwise(
         F.zip_with("x", "m", lambda a, b: a * F.lit(float(alpha)) + b * F.lit(1.0 - alpha))
@@ -38,7 +91,7 @@ def refine_once(nodes: DataFrame, both: DataFrame, alpha: float) -> DataFrame:
     return nodes.join(m, "node_id", "left").select(*keep, mixed.alias("x"))
 
 
-def signatures(graph: AnchoredGraph, alpha: float = 0.5, hops: int = 2, normalize: bool = True) -> DataFrame:
+def signatures(graph: AnchoredGraph, alpha: float = 0.5, hops: int = 2, normalize: bool = True, engine: str = "bucket") -> DataFrame:
     """``graph.nodes`` with ``sig``: the sum of the vectors of rounds 0 to ``hops``, at unit length unless told otherwise.
 
     Every round is cut to the shared folder; the running sum rides along, so each round is one plan.
@@ -46,7 +99,7 @@ def signatures(graph: AnchoredGraph, alpha: float = 0.5, hops: int = 2, normaliz
     both = cut(graph.both_ways(), "edges")
     now = graph.nodes.withColumn("total", F.col("x"))
     for _ in range(hops):
-        now = refine_once(now, both, alpha)
+        now = refine_once(now, both, alpha, engine)
         now = cut(now.withColumn("total", V.add("total", "x")), "round")
     sig = V.unit(F.col("total")) if normalize else F.col("total")
     return now.withColumn("norm", V.norm("total")).withColumn("sig", sig).drop("x", "total")

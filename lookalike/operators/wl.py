@@ -15,12 +15,21 @@ def refine_colors(nodes: DataFrame, edges: DataFrame, rounds: int, how: str = "m
     """``node_id, iter, color``; ``nodes`` has ``node_id, color``.
 
     A round's colour names the own colour and the sorted colours of the neighbours *before* the
-    round. ``md5`` needs no agreement between tasks; ``dense_rank`` numbers the distinct pairs.
+    round. ``md5`` needs no agreement between tasks; ``dense_rank`` numbers the distinct pairs;
+    ``multiset`` sums hashes of the neighbours' colours, so a hub's neighbours are never gathered.
     """
     both = cut(symmetrize(edges), "edges")
     now = nodes.select("node_id", F.col("color").cast("string").alias("color"))
     out = now.withColumn("iter", F.lit(0))
     for i in range(1, rounds + 1):
+        if how == "multiset":
+            far = both.join(now.withColumnRenamed("node_id", "dst"), "dst")
+            around = [F.sum(F.xxhash64("color", F.lit(salt)).cast("decimal(38,0)")).alias(f"h{salt}") for salt in (1, 2)]
+            seen = far.groupBy(F.col("src").alias("node_id")).agg(*around)
+            color = F.md5(F.concat_ws("|", "color", F.coalesce("h1", F.lit(0)), F.coalesce("h2", F.lit(0))))
+            now = cut(now.join(seen, "node_id", "left").select("node_id", color.alias("color")), "colors")
+            out = out.union(now.withColumn("iter", F.lit(i)))
+            continue
         seen = both.join(now.withColumnRenamed("node_id", "dst"), "dst").groupBy(F.col("src").alias("node_id")).agg(F.array_join(F.array_sort(F.collect_list("color")), ",").alias("around"))
         text = F.concat(F.col("color"), F.lit("|"), F.coalesce("around", F.lit("")))
         nxt = now.join(seen, "node_id", "left").select("node_id", text.alias("text"))

@@ -150,6 +150,17 @@ def wl_color_classes(spark, sf_dir):
     return _part_colors(spark, sf_dir, how="dense_rank")[2].groupBy("iter").agg(F.countDistinct("color").alias("classes"))
 
 
+@query("wl_color_classes_multiset", O.with_(O.part_fixture(2)) + _WL + " SELECT iter, count(DISTINCT color) AS classes FROM cs GROUP BY iter")
+def wl_color_classes_multiset(spark, sf_dir):
+    return _part_colors(spark, sf_dir, how="multiset")[2].groupBy("iter").agg(F.countDistinct("color").alias("classes"))
+
+
+@query("refine_l1_bucket", O.with_(O.emb_nodes(), O.emb_edges(0.2), O.refine(0, 64)) + " " + LONG.format(rel="x1", n=65))
+def refine_l1_bucket(spark, sf_dir):
+    g = W.emb_graph(spark, sf_dir)
+    return V.long_form(similarity.refine_once(g.nodes, g.both_ways(), 0.5, "bucket"), "node_id", "x")
+
+
 @query(
     "wl_kernel",
     O.with_(O.part_fixture(2)) + _WL + """, s AS (SELECT id AS seed FROM x0 WHERE id < 20),
@@ -804,3 +815,120 @@ def edge_mask_flip(spark, sf_dir):
     g = W.page_near_graph(spark, sf_dir)
     model = train.fit_gcn(train.sample(g), epochs=40)
     return errors.edge_mask_flip(g, model.predict, 7, 1).withColumn("removed", F.array_join("removed", ","))
+
+
+# --- experiment workloads: one row per method and parameter ---
+
+METHODS = ("exact", "index", "flat_weights", "single_layer")
+KS = (1, 5, 10, 20, 50)
+
+
+def _method_lists(sigs: DataFrame, k: int, spec: LayerSpec) -> dict[str, DataFrame]:
+    return {m: cut(pairs.local_twins(sigs, k, m, spec=spec), m) for m in METHODS}
+
+
+def _stack(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.union(f)
+    return out
+
+
+def _local_by_method(sigs: DataFrame, spec: LayerSpec) -> DataFrame:
+    """``method, k, avg_sim`` of the local lists, from one search per method."""
+    found = []
+    for m, twins in _method_lists(sigs, max(KS), spec).items():
+        curve = metrics.similarity_curve(twins, sigs).filter(F.col("k").isin(*KS))
+        found.append(curve.select(F.lit(m).alias("method"), "k", V.r6("avg_sim").alias("avg_sim")))
+    return _stack(found)
+
+
+_X_KS = "SELECT unnest([1, 5, 10, 20, 50])::INT AS k"
+
+
+def _x1_sql(fixture: str, dim: int) -> str:
+    """All four methods in one statement: the ablations' tables get a suffix of their own."""
+    parts, ctes = [], [fixture]
+    for m, chain in (("exact", None), ("index", O.layers(3, 10, 3, dim)), ("flat_weights", O.layers(3, 10, 3, dim, rule="unit")), ("single_layer", O.layers(1, 10, 3, dim))):
+        rel = f"r_{m}"
+        if chain is None:
+            ctes.append(O.local(50, rel))
+        else:
+            body = O.indexed(50, "ix")
+            ctes.append(f"{rel} AS MATERIALIZED (WITH {chain}, {body} SELECT * FROM ix)")
+        parts.append(f"SELECT '{m}' AS method, k, round(sum(s) / k / (SELECT count(*) FROM sig), 6) + 0.0 AS avg_sim FROM ({_X_KS}), (SELECT rank, sum(round(sim, 6)) AS s FROM {rel} GROUP BY rank) WHERE rank <= k GROUP BY k")
+    return O.with_(*ctes) + " " + " UNION ALL ".join(parts)
+
+
+@query("exp_local_similarity_embeddings", _x1_sql(EMB, 64))
+def exp_local_similarity_embeddings(spark, sf_dir):
+    return _local_by_method(cut(emb_sigs(spark, sf_dir).select("node_id", "verdict", "sig"), "sigs"), SPEC)
+
+
+@query("exp_local_similarity_parts", _x1_sql(",\n".join((O.part_fixture(2), O.signatures(27))), 27))
+def exp_local_similarity_parts(spark, sf_dir):
+    return _local_by_method(cut(part_sigs(spark, sf_dir, 2), "sigs"), SPEC)
+
+
+PAIR_KS = (1, 10, 50, 100, 200)
+
+
+@query("exp_global_similarity_embeddings")
+def exp_global_similarity_embeddings(spark, sf_dir):
+    """``method, mode, k, avg_sim`` of the top pairs; local lists are made once per method."""
+    sigs = cut(emb_sigs(spark, sf_dir).select("node_id", "verdict", "sig"), "sigs")
+    found = []
+    for m in METHODS:
+        twins = cut(pairs.local_twins(sigs, 1, m, spec=SPEC), m)
+        ranked = cut(pairs.top(pairs.canonical(twins), max(PAIR_KS)), "pairs")
+        for k in PAIR_KS:
+            found.append(metrics.average_pair_similarity(ranked.filter(F.col("rank") <= k)).select(F.lit(m).alias("method"), F.lit(k).alias("k"), V.r6("avg_sim").alias("avg_sim")))
+    return _stack(found)
+
+
+@query("exp_layer_count")
+def exp_layer_count(spark, sf_dir):
+    """``p, avg_sim, avg_recall, candidates`` of the index as layers are added."""
+    sigs = cut(emb_sigs(spark, sf_dir).select("node_id", "verdict", "sig"), "sigs")
+    exact = cut(scan.exact_scan_all(sigs, K), "exact")
+    return _stack([_index_quality(sigs, exact, LayerSpec(p=p, m=10, rounds=3)).select(F.lit(p).alias("p"), "avg_sim", "avg_recall", "candidates") for p in (1, 5, 20, 50)])
+
+
+def _index_quality(sigs: DataFrame, exact: DataFrame, spec: LayerSpec) -> DataFrame:
+    ix = index.build(sigs, spec)
+    found = cut(search.index_search_all(ix, K), "found")
+    sim = metrics.average_similarity(found, sigs, K)
+    recall = metrics.recall_at_k(found, exact, K)
+    cand = metrics.candidates_per_query(ix.nodes, ix.layers.numbers).agg(F.avg("candidates").alias("candidates"))
+    return sim.crossJoin(recall).crossJoin(cand).select(V.r6("avg_sim").alias("avg_sim"), V.r6("avg_recall").alias("avg_recall"), V.r6("candidates").alias("candidates"))
+
+
+@query("exp_sensitivity")
+def exp_sensitivity(spark, sf_dir):
+    """``parameter, setting, avg_sim, avg_recall, candidates``: one change at a time from the defaults."""
+    from dataclasses import replace
+
+    g, out = W.emb_graph(spark, sf_dir), []
+    base = LayerSpec(p=5, m=10, rounds=3)
+    grid = [("alpha", a, {"alpha": a}, base) for a in (0.0, 0.5, 1.0)] + [("hops", h, {"hops": h}, base) for h in (1, 3)]
+    grid += [("theta", round(t, 4), {}, replace(base, theta=t)) for t in (math.pi / 6, math.pi / 4)] + [("m", m, {}, replace(base, m=m)) for m in (5, 20)]
+    for name, value, how, spec in grid:
+        sigs = cut(similarity.signatures(g, **how).select("node_id", "verdict", "sig"), "sigs")
+        exact = cut(scan.exact_scan_all(sigs, K), "exact")
+        out.append(_index_quality(sigs, exact, spec).select(F.lit(name).alias("parameter"), F.lit(float(value)).alias("setting"), "avg_sim", "avg_recall", "candidates"))
+    return _stack(out)
+
+
+@query("exp_weight_saturation", O.with_(EMB, O.cap_table(64), O.lloyd(0, 10, 3)) + f" SELECT round(median(w), 6) + 0.0 AS median_weight, round(min(w), 6) + 0.0 AS least_weight FROM (SELECT {O.weight_of('cos')} AS w FROM at0, tab)")
+def exp_weight_saturation(spark, sf_dir):
+    """How far boundary weights are from 1 in many dimensions, where weighting fades."""
+    return seed_layer(spark, sf_dir)[0].agg(V.r6(F.percentile("weight", 0.5)).alias("median_weight"), V.r6(F.min("weight")).alias("least_weight"))
+
+
+@query("exp_errors_parts", O.with_(_PART_RULE, O.signatures(27, verdict="vd"), O.local(1), O.pairs("lt", 200)) + """, sl AS (SELECT rank, unnest([a, b]) AS id FROM pr), nd AS (SELECT id, min(rank) AS rank FROM sl GROUP BY id),
+ok AS (SELECT nd.rank, (vd.verdict = label)::INT AS ok FROM nd JOIN vd USING (id) JOIN x0 USING (id)) SELECT k, count(*) AS n_nodes, round(avg(ok), 6) + 0.0 AS accuracy FROM (SELECT unnest([10, 50, 100, 200])::INT AS k), ok WHERE rank <= k GROUP BY k""")
+def exp_errors_parts(spark, sf_dir):
+    g = W.part_graph(spark, sf_dir, 1)
+    sigs, verdicts = with_rule(g)
+    ranked = cut(pairs.twin_pairs(sigs, 200), "pairs")
+    return errors.accuracy_in_pairs(ranked, verdicts, g.nodes.select("node_id", "label"), [10, 50, 100, 200]).withColumn("accuracy", V.r6("accuracy"))

@@ -73,8 +73,9 @@ def best(m, v, k):
     return [(u, round(-s, 6) + 0.0) for s, u in order]
 
 
-def test_signatures_equal_numpy(small, sigs, exact):
-    got = {r["node_id"]: np.array(r["sig"]) for r in sigs.collect()}
+@pytest.mark.parametrize("engine", ["bucket", "sql"])
+def test_signatures_equal_numpy(small, exact, engine):
+    got = {r["node_id"]: np.array(r["sig"]) for r in similarity.signatures(small[0], engine=engine).collect()}
     for i in range(60):
         assert np.allclose(got[i], exact[0][i], atol=1e-12)
 
