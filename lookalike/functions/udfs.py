@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import heapq
 import math
 
 import numpy as np
@@ -18,7 +19,8 @@ def _flat(a: pa.Array) -> np.ndarray:
 
 
 def register(spark: SparkSession) -> None:
-    """Registers ``twin_sim(a, b)``, ``twin_weight(cos, theta, d)``, ``vec_avg(v)`` and ``explode_vector(v)`` for SQL.
+    """Registers ``twin_sim(a, b)``, ``twin_weight(cos, theta, d)``, ``vec_avg(v)``,
+    ``explode_vector(v)`` and ``top_twins(table, k)`` for SQL.
 
     Inside DataFrame code the Column forms in ``functions.vectors`` are better: they stay in the JVM.
     """
@@ -47,6 +49,25 @@ def register(spark: SparkSession) -> None:
             for i, x in enumerate(v or ()):
                 yield i, float(x)
 
+    @F.udtf(returnType="v long, u long, rank int, sim double")
+    class TopTwins:
+        """``top_twins(TABLE(scored) PARTITION BY (v), k)`` over rows of v, u, sim: a heap of k rows per partition."""
+
+        def __init__(self):
+            self.heap = []
+
+        def eval(self, row, k):
+            item = (row["sim"], -row["u"], row["v"])
+            if len(self.heap) < k:
+                heapq.heappush(self.heap, item)
+            else:
+                heapq.heappushpop(self.heap, item)
+
+        def terminate(self):
+            for rank, (sim, u, v) in enumerate(sorted(self.heap, reverse=True), 1):
+                yield v, -u, rank, sim
+
+    spark.udtf.register("top_twins", TopTwins)
     spark.udf.register("twin_sim", twin_sim)
     spark.udf.register("twin_weight", twin_weight)
     spark.udf.register("vec_avg", vec_avg)

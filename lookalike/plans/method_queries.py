@@ -654,6 +654,14 @@ def twin_card(spark, sf_dir):
     return audit.card(values, 7, best["u"] if best else -1)
 
 
+@query("twin_card_neighbourhoods", _AUDIT + """, sd AS (SELECT 7 AS seed UNION ALL SELECT u FROM lt WHERE v = 7 AND rank = 1), h AS (SELECT seed, seed AS n, 0 AS hop FROM sd UNION ALL SELECT seed, dst, 1 FROM sd JOIN ed ON src = seed
+  UNION ALL SELECT seed, b.dst, 2 FROM sd JOIN ed a ON a.src = seed JOIN ed b ON b.src = a.dst) SELECT seed, n AS node_id, min(hop)::INT AS hop FROM h GROUP BY ALL""")
+def twin_card_neighbourhoods(spark, sf_dir):
+    twins, _, _ = cust_audit(spark, sf_dir)
+    best = twins.filter("v = 7 and rank = 1").head()
+    return audit.neighbourhoods(cut(W.cust_edges(spark, sf_dir), "edges"), 7, best["u"], 2)
+
+
 # --- models ---
 
 _LIT = "(sin(i * 7.0 + j * 3.0) / 8)"

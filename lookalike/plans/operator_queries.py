@@ -575,6 +575,14 @@ def udtf_explode(spark, sf_dir):
     return spark.sql("SELECT node_id, t.dim, round(t.value, 6) + 0.0D AS value FROM lookalike_vectors, LATERAL explode_vector(x) t")
 
 
+@query("udtf_topk", O.with_(EMB, O.local(5)) + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM lt")
+def udtf_topk(spark, sf_dir):
+    udfs.register(spark)
+    cut(emb_sigs(spark, sf_dir), "sigs").createOrReplaceTempView("lookalike_sigs")
+    scored = "SELECT a.node_id AS v, b.node_id AS u, round(aggregate(zip_with(a.sig, b.sig, (x, y) -> x * y), 0.0D, (s, t) -> s + t), 9) AS sim FROM lookalike_sigs a JOIN lookalike_sigs b ON a.verdict <> b.verdict"
+    return spark.sql(f"SELECT v, u, rank, round(sim, 6) + 0.0D AS sim FROM top_twins(TABLE({scored}) PARTITION BY (v), 5)")
+
+
 @query("block_scan", O.with_(EMB, O.local(10)) + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM lt")
 def block_scan(spark, sf_dir):
     """The blocked kernel with blocks so small that every node's list is merged from many."""

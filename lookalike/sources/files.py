@@ -27,6 +27,11 @@ def roundtrip(edges: DataFrame, fmt: str) -> DataFrame:
 
 
 def bucketed(df: DataFrame, name: str, key: str, buckets: int = 8) -> DataFrame:
-    """A table bucketed and sorted by ``key``: joins of two such tables on it need no exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
+    """A table bucketed and sorted by ``key``: joins of two such tables on it need no exchange.
+
+    Its files lie in the shared folder under a fresh name, so runs do not meet.
+    """
+    path = fresh_path(df.sparkSession, name)
+    name = path.rsplit("/", 1)[1].replace("-", "_")
+    df.write.option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(name)
     return df.sparkSession.table(name)
