@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.cluster import smallest_hashes
 from ..operators.graph import AnchoredGraph
 from ..operators.kernels import matrix
 from ..session import cut
@@ -49,7 +50,7 @@ class Sample:
 
 def sample(graph: AnchoredGraph, max_nodes: int = MAX_TRAIN_NODES) -> Sample:
     """At most ``max_nodes`` nodes, smallest id hash first, and the edges among them."""
-    picked = graph.nodes.orderBy(F.md5(F.col("node_id").cast("string"))).limit(max_nodes)
+    picked = smallest_hashes(graph.nodes, max_nodes)
     t = picked.select("node_id", "x", F.coalesce(F.col("label").cast("int"), F.lit(-1)).alias("y"), "split").toArrow()
     ids = t.column(0).to_numpy()
     order = np.argsort(ids)

@@ -7,8 +7,9 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.vectors import dot
+from ..functions.vectors import dot, unit
 from ..session import cut
+from .kernels import blocked_pairs
 
 
 @dataclass
@@ -56,12 +57,16 @@ def shared_key(rows: DataFrame, item: str, keys: list[str]) -> DataFrame:
     return r.alias("a").join(r.alias("b"), cond).select(F.col("a.i").alias("src"), F.col("b.i").alias("dst")).distinct()
 
 
-def epsilon(nodes: DataFrame, tau: float, id_col: str = "node_id", vec_col: str = "x") -> DataFrame:
-    """Pairs whose cosine exceeds ``tau``; unit vectors are stored first, so a pair costs one dot product."""
-    from ..functions.vectors import unit
+def epsilon(nodes: DataFrame, tau: float, id_col: str = "node_id", vec_col: str = "x", engine: str = "block") -> DataFrame:
+    """Pairs whose cosine exceeds ``tau``: ``src, dst``.
 
-    u = nodes.select(F.col(id_col).alias("i"), unit(F.col(vec_col)).alias("u"))
-    u = cut(u, "unit")
+    Unit vectors are stored first, so a pair costs one dot product; ``block`` multiplies blocks of
+    them, ``sql`` is the theta join.
+    """
+    u = cut(nodes.select(F.col(id_col).alias("i"), unit(F.col(vec_col)).alias("u")), "unit")
+    if engine == "block":
+        rows = u.select(F.col("i").alias("node_id"), F.lit(None).cast("int").alias("verdict"), F.col("u").alias("sig"))
+        return blocked_pairs(rows, tau, strict=True).select(F.col("a").alias("src"), F.col("b").alias("dst"))
     n = max(1, int(u.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     a, b = u.repartition(n, "i").alias("a"), u.alias("b")
     return a.join(b, F.col("a.i") < F.col("b.i")).filter(F.round(dot("a.u", "b.u"), 9) > tau).select(F.col("a.i").alias("src"), F.col("b.i").alias("dst"))

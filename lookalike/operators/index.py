@@ -20,16 +20,21 @@ class TwinIndex:
     layers: Layers
     nodes: DataFrame
 
-    def postings(self) -> DataFrame:
-        """``cell, node_id, verdict, sig`` for the cells that are somebody's home; others are never searched.
+    def home_cells(self) -> list[tuple[int, int]]:
+        """The cells that are somebody's home: at most p * m rows on the driver."""
+        return sorted(map(tuple, self.nodes.select("layer", "cluster").distinct().collect()))
 
-        The set of home cells has at most p * m rows, so it is broadcast.
+    def postings(self, cells: list[tuple[int, int]] | None = None) -> DataFrame:
+        """``layer, cluster, node_id, verdict, sig, cell`` for ``cells``, by default those that are somebody's home.
+
+        Memberships in other cells are filtered while they are still numbers in an array, so a
+        node's vector is repeated only for cells that will be searched.
         """
-        homes = self.nodes.select("layer", "cluster").distinct()
-        numbers = F.array(*[F.lit(n) for n in self.layers.numbers])
-        wide = self.nodes.select("node_id", "verdict", "sig", F.explode(F.arrays_zip(numbers.alias("layer"), F.col("clusters").alias("cluster"))).alias("a"))
-        rows = wide.select(F.col("a.layer").alias("layer"), F.col("a.cluster").alias("cluster"), "node_id", "verdict", "sig")
-        return rows.join(F.broadcast(homes), ["layer", "cluster"], "left_semi").withColumn("cell", cell())
+        wanted = F.array(*[F.lit(a * (1 << 32) + c).cast("long") for a, c in (self.home_cells() if cells is None else cells)])
+        mine = F.zip_with(F.array(*[F.lit(n).cast("long") for n in self.layers.numbers]), "clusters", lambda a, c: a * F.lit(1 << 32) + c)
+        rows = self.nodes.select("node_id", "verdict", "sig", F.explode(F.array_intersect(mine, wanted)).alias("cell"))
+        layer = F.floor(F.col("cell") / F.lit(1 << 32)).cast("int")
+        return rows.select(layer.alias("layer"), F.pmod("cell", F.lit(1 << 32)).cast("int").alias("cluster"), "node_id", "verdict", "sig", "cell")
 
 
 def cell(layer="layer", cluster="cluster"):

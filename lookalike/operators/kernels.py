@@ -72,7 +72,7 @@ def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int = BL
     ship(members.sparkSession)
     nq = queries.groupBy("cell").agg(F.ceil(F.count("*") / block).cast("int").alias("nq"))
     nm = members.groupBy("cell").agg(F.ceil(F.count("*") / block).cast("int").alias("nm"))
-    grid = nq.join(nm, "cell")
+    grid = F.broadcast(nq.join(nm, "cell"))  # one row per cell: p * m at most
     salt = F.xxhash64("node_id")
 
     def dealt(df: DataFrame, own: str, other: str, role: int) -> DataFrame:
@@ -101,6 +101,44 @@ def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int = BL
     return rows.mapInArrow(run, FOUND)
 
 
+PAIRS = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType()), T.StructField("sim", T.DoubleType())])
+
+
+def blocked_pairs(rows: DataFrame, least: float, strict: bool = False, block: int = BLOCK) -> DataFrame:
+    """``a, b, sim`` with a < b: pairs of ``rows`` (node_id, verdict, sig) whose dot product, rounded to nine digits, reaches ``least``.
+
+    Pairs of equal verdicts are left out; where verdicts are null no pair is. Rows are dealt to
+    blocks by hash, every pair of blocks is one group, and the upper half of the grid is enough.
+    """
+    ship(rows.sparkSession)
+    nb = F.greatest(F.ceil(F.count("*") / block).cast("int"), F.lit(1))
+    r = rows.select("node_id", F.col("verdict").cast("int").alias("verdict"), "sig").crossJoin(F.broadcast(rows.agg(nb.alias("nb"))))  # one row
+    r = r.withColumn("own", F.pmod(F.xxhash64("node_id"), F.col("nb")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    r = r.select(F.xxhash64(F.least("own", "other"), F.greatest("own", "other")).alias("grp"), "own", "node_id", "verdict", "sig")
+    dealt = r.repartition("grp").sortWithinPartitions("grp", "own", "node_id")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in groups_in_order(batches):
+            own, ids = t.column(1).to_numpy(), t.column(2).to_numpy()
+            verdict = t.column(3).fill_null(-(1 << 31)).to_numpy()
+            x = matrix(t.column(4))
+            n = int((own == own[0]).sum())
+            left, right = (np.arange(n),) * 2 if n == len(own) else (np.arange(n), np.arange(n, len(own)))
+            for at in range(0, n, 512):
+                i = left[at : at + 512]
+                s = np.round(x[i] @ x[right].T, 9)
+                ok = (s > least) if strict else (s >= least)
+                ok &= (verdict[i, None] != verdict[None, right]) | (verdict[i, None] == -(1 << 31))
+                if n == len(own):
+                    ok &= i[:, None] < right[None, :]
+                p, q = np.nonzero(ok)
+                if len(p):
+                    u, v = ids[i[p]], ids[right[q]]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(u, v)), pa.array(np.maximum(u, v)), pa.array(s[p, q])], names=PAIRS.names)
+
+    return dealt.mapInArrow(run, PAIRS)
+
+
 def matmul(df: DataFrame, weights: np.ndarray, vec_col: str = "x", bias: np.ndarray | None = None, activation: str | None = None) -> DataFrame:
     """``df`` with ``vec_col`` times ``weights`` (d x h, shipped once per task in the closure), batch by batch."""
     ship(df.sparkSession)

@@ -9,6 +9,7 @@ from pyspark.sql.window import Window
 from ..functions import vectors as V
 from .cluster import LayerSpec
 from .index import TwinIndex, build
+from .kernels import blocked_pairs
 from .scan import exact_scan_all
 from .search import index_search_all
 
@@ -50,8 +51,10 @@ def twin_pairs(sigs: DataFrame, k: int = 1, local: str = "exact", mode: str = "p
     return top(pairs, k)
 
 
-def pairs_above(sigs: DataFrame, min_sim: float) -> DataFrame:
+def pairs_above(sigs: DataFrame, min_sim: float, engine: str = "block") -> DataFrame:
     """``a, b, sim`` of all pairs at or above ``min_sim``: each unordered pair is scored once."""
+    if engine == "block":
+        return blocked_pairs(sigs.select("node_id", "verdict", "sig"), min_sim).withColumn("sim", V.r6("sim"))
     a, b = sigs.alias("a"), sigs.alias("b")
     pairs = a.join(b, (F.col("a.node_id") < F.col("b.node_id")) & (F.col("a.verdict") != F.col("b.verdict")))
     return pairs.select(F.col("a.node_id").alias("a"), F.col("b.node_id").alias("b"), F.round(V.dot("a.sig", "b.sig"), 9).alias("sim")).filter(F.col("sim") >= min_sim).select("a", "b", V.r6("sim").alias("sim"))

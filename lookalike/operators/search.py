@@ -39,11 +39,9 @@ def probes(index: TwinIndex, r: int) -> DataFrame:
 
 
 def _postings_of(index: TwinIndex, cells: DataFrame) -> DataFrame:
-    """Postings of the given ``layer, cluster`` cells (at most p * m rows, hence broadcast)."""
-    numbers = F.array(*[F.lit(n) for n in index.layers.numbers])
-    wide = index.nodes.select("node_id", "verdict", "sig", F.explode(F.arrays_zip(numbers.alias("layer"), F.col("clusters").alias("cluster"))).alias("a"))
-    rows = wide.select(F.col("a.layer").alias("layer"), F.col("a.cluster").alias("cluster"), "node_id", "verdict", "sig")
-    return rows.join(F.broadcast(cells.distinct()), ["layer", "cluster"], "left_semi").select(cell().alias("cell"), "node_id", "verdict", "sig")
+    """Postings of the given ``layer, cluster`` cells (at most p * m)."""
+    wanted = sorted(map(tuple, cells.select("layer", "cluster").distinct().collect()))
+    return index.postings(wanted).select("cell", "node_id", "verdict", "sig")
 
 
 def index_search_all(index: TwinIndex, k: int, on_shortage: str = "return_short", r: int = 1) -> DataFrame:

@@ -287,6 +287,54 @@ def test_a_hub_loses_pairs_to_per_node_best(spark):
     assert a < b and (2, 3) in b
 
 
+@pytest.mark.parametrize("engine", ["block", "sql"])
+def test_pairs_above(sigs, exact, engine):
+    m = exact[1]
+    want = {(a, b) for a in range(60) for b in range(a + 1, 60) if m[a, b] >= 0.3}
+    assert {(r["a"], r["b"]) for r in pairs.pairs_above(sigs, 0.3, engine).collect()} == want
+
+
+def test_near_edges_in_blocks(small):
+    from lookalike.operators.kernels import blocked_pairs
+
+    g, x, _, _ = small
+    n = np.linalg.norm(x, axis=1, keepdims=True)
+    u = x / np.where(n > 0, n, 1)
+    want = {(a, b) for a in range(60) for b in range(a + 1, 60) if round(float(u[a] @ u[b]), 9) > 0.5}
+    for engine in ("block", "sql"):
+        assert {tuple(r) for r in graph.epsilon(g.nodes, 0.5, engine=engine).collect()} == want
+    rows = g.nodes.select("node_id", F.lit(None).cast("int").alias("verdict"), V.unit(F.col("x")).alias("sig"))
+    assert {(r["a"], r["b"]) for r in blocked_pairs(rows, 0.5, strict=True, block=7).collect()} == want
+
+
+def test_sample_of_many_is_the_smallest_hashes(spark):
+    import hashlib
+
+    rows = spark.range(20000).select(F.col("id").alias("node_id"))
+    got = {r[0] for r in cluster.smallest_hashes(rows, 500).collect()}
+    assert got == set(sorted(range(20000), key=lambda i: hashlib.md5(str(i).encode()).hexdigest())[:500])
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_plans(spark, sf, sigs):
+    """What must hold at any size: pruned columns, pushed filters, partial top-k, group limits before the exchange, no cartesian product."""
+    from lookalike.sources.tables import table
+
+    scan_plan = plan_of(table(spark, sf, "part").filter("p_size > 40").select("p_partkey"))
+    assert "PushedFilters: [IsNotNull(p_size), GreaterThan(p_size,40)]" in scan_plan and "p_name" not in scan_plan
+    assert "TakeOrderedAndProject" in plan_of(scan._scored(sigs, 3).orderBy(F.desc("sim"), "u").limit(5))
+    everything = plan_of(scan.exact_scan_all(sigs, 5))
+    assert "WindowGroupLimit" in everything and "Partial" in everything
+    assert "CartesianProduct" not in everything
+    joins = [line.strip(" +-:") for line in everything.splitlines() if "NestedLoopJoin" in line]
+    assert all("BuildRight" in j for j in joins), "a join on a constant cell must broadcast the grid's one row, never the vectors"
+    one_round = plan_of(similarity.refine_once(sigs.withColumnRenamed("sig", "x"), spark.createDataFrame([(0, 1), (1, 0)], "src long, dst long"), 0.5))
+    assert "partial_" in one_round
+
+
 def test_average_similarity(sigs, exact):
     twins = cut(scan.exact_scan_all(sigs, 10), "twins")
     want = [np.mean([np.sum([s for _, s in best(exact[1], v, k)]) / k for v in range(60)]) for k in range(1, 11)]
