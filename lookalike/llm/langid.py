@@ -79,13 +79,10 @@ def fit(
     )
     per_part = max(1, math.ceil(sample_per_lang / 64))
     picked = ranked.withColumn("r", F.row_number().over(Window.partitionBy("lang", "part").orderBy("h", "id"))).filter(F.col("r") <= per_part)
-    bound = picked.select("lang", F.col("id").alias("__id"))
-    # at most languages * 64 * per_part ids: its size is proven by the rank filter
-    rows = (
-        train.join(F.broadcast(bound), (train[id_col] == bound["__id"]) & (train[lang_col] == bound["lang"]))
-        .select(bound["lang"], F.col("__id").alias("id"), F.substring(F.col(text_col), 1, dict_bytes).alias("text"))
-        .collect()
-    )
+    bound = picked.select("lang", "id")
+    texts = train.select(F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("id"), F.substring(F.col(text_col), 1, dict_bytes).alias("text"))
+    # at most languages * 64 * per_part ids: their size is proven by the rank filter
+    rows = texts.filter("text is not null").join(F.broadcast(bound), ["lang", "id"], "left_semi").collect()
     by: dict[str, list[tuple[int, str]]] = {}
     for r in rows:
         by.setdefault(r["lang"], []).append((r["id"], r["text"]))

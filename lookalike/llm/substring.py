@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ship
+from .common import ship, spare
 
 #: A cut where the 8-bit gear hash is below this: every 26 bytes on average. Short chunks and a
 #: short window leave little of a repeated passage at its two ends.
@@ -147,8 +147,9 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_w
     ship(spark)
     counts = ("n_chunks", "n_duplicate", "removed_bytes")
     base = docs.drop(*[c for c in counts if c in docs.columns])
-    marked = duplicate_chunks(base, id_col, text_col).select(F.col("doc_id").alias("__id"), F.col("nths").alias("__nths"))
-    joined = base.join(marked, base[id_col] == marked["__id"], "left").drop("__id")
+    theirs, nths = spare(base.columns, "marked_id"), spare(base.columns, "marked_nths")
+    marked = duplicate_chunks(base, id_col, text_col).select(F.col("doc_id").alias(theirs), F.col("nths").alias(nths))
+    joined = base.join(marked, base[id_col] == marked[theirs], "left").drop(theirs)
     at, where = base.columns.index(text_col), len(base.columns)
     schema = T.StructType([*[T.StructField(f.name, T.StringType() if f.name == text_col else f.dataType) for f in base.schema], *[T.StructField(c, T.LongType()) for c in counts]])
 

@@ -70,3 +70,34 @@ def test_queries_equal_sql(spark, sf, name):
     a = sorted(str([dict(zip(names, r))[c] for c in cols]) for r in want.fetchall())
     b = sorted(str([r[c] for c in cols]) for r in got.collect())
     assert a == b
+
+
+ODD = "doc_id long, text string, lang string, source string, n_chars long, kept boolean, h128 string, __id long, marked_id long, n_chunks long"
+
+
+def test_stages_on_odd_rows(spark, sf, tmp_path):
+    """Nulls in any column, empty and very long texts, repeated rows and clashing extra columns pass every stage."""
+    en, de = "the cat and the dog went to the house of the man ", "der hund und die katze gingen zum haus von dem mann "
+    rows = [(i, f"{en}{i} word{i} and word{i * 7} ", "en", "s") for i in range(40)] + [(100 + i, f"{de}{i} wort{i} und wort{i * 7} ", "de", None) for i in range(40)]
+    rows += [(200, None, "en", "s"), (201, "", "de", "s"), (202, "12 !!", None, "s"), (None, en * 3, None, None), (203, en * 20000, "en", "s"), (204, en * 20000, "en", "s"), (5, rows[5][1], "en", "s"), (300, rows[3][1].upper(), None, "s")]
+    df = spark.createDataFrame([(*r, None, None, "x", 7, 8, None) for r in rows], ODD)
+    now, kept = df, {}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, now, sf)
+        assert out.columns == df.columns
+        path = str(tmp_path / name)
+        out.write.parquet(path)
+        now = spark.read.parquet(path)
+        kept[name] = [r["doc_id"] for r in now.select("doc_id").collect()]
+    assert not {200, 201, 202} & set(kept["language_id"]) and None in kept["language_id"] and 203 in kept["language_id"]
+    assert 300 not in kept["exact_dedup"] and 204 not in kept["exact_dedup"] and None in kept["exact_dedup"]
+    assert set(kept["substring_dedup"]) == set(kept["minhash_near_dedup"]) and None in kept["substring_dedup"]
+    pieces = corpus_pipeline.pack(spark, now, sf).collect()
+    assert {r["doc_id"] for r in pieces} == set(kept["substring_dedup"])
+
+
+def test_stages_on_an_empty_table(spark, sf):
+    now = table(spark, sf).limit(0)
+    for _, stage in corpus_pipeline.STAGES:
+        now = stage(spark, now, sf)
+        assert now.count() == 0
