@@ -7,7 +7,6 @@ from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from ..operators.graph import AnchoredGraph
 from .train import Gcn, fit_gcn, sample

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..operators.graph import AnchoredGraph
 from ..operators.kernels import matmul
+from ..operators.similarity import bucket_mean
 from ..session import cut
 
 
@@ -18,10 +19,12 @@ def from_column(nodes: DataFrame, column: str) -> DataFrame:
 
 
 def hop_mean(graph: AnchoredGraph) -> DataFrame:
-    """``node_id, h``: mean of the own and the neighbours' vectors."""
+    """``node_id, h``: mean of the own and the neighbours' vectors, which travel once per bucket."""
     own = graph.nodes.select("node_id", "x")
-    msg = graph.both_ways().join(own.withColumnRenamed("node_id", "dst"), "dst").select(F.col("src").alias("node_id"), "x").union(own)
-    return msg.groupBy("node_id").agg(vector_to_array(Summarizer.mean(array_to_vector("x"))).alias("h"))
+    m = bucket_mean(own, graph.both_ways(), weighted=False)
+    d = F.size("x")
+    mixed = F.zip_with(F.zip_with("x", F.zip_with("m", F.array_repeat("deg", d), lambda v, n: v * n), lambda v, w: v + w), F.array_repeat("deg", d), lambda v, n: v / (n + 1))
+    return own.join(m, "node_id", "left").select("node_id", F.when(F.col("m").isNull(), F.col("x")).otherwise(mixed).alias("h"))
 
 
 def centroid_rule(graph: AnchoredGraph, split: str | None = "train") -> DataFrame:

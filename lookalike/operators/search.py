@@ -7,9 +7,7 @@ import math
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from ..functions import vectors as V
 from ..session import cut
 from .index import TwinIndex, cell
 from .kernels import blocked_topk

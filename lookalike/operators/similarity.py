@@ -35,8 +35,8 @@ def neighbour_mean(nodes: DataFrame, both: DataFrame) -> DataFrame:
 EDGE_CHUNK = 100_000
 
 
-def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None) -> DataFrame:
-    """:func:`neighbour_mean` with one vector per neighbour *and bucket* of receivers on the wire.
+def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None, weighted: bool = True) -> DataFrame:
+    """:func:`neighbour_mean` (without ``weighted`` the plain mean), and ``deg``, with one vector per neighbour *and bucket* of receivers on the wire.
 
     Edges are first gathered per (neighbour, bucket of the receiving node), ids only. A neighbour's
     vector then travels once to every bucket that needs it, not once per edge, and meets its
@@ -54,7 +54,7 @@ def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None) -
     def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
         ids = left.column("node_id").to_numpy()
         order = np.argsort(ids, kind="stable")
-        ids, schema = ids[order], pa.schema([("node_id", pa.int64()), ("m", pa.list_(pa.float64()))])
+        ids, schema = ids[order], pa.schema([("node_id", pa.int64()), ("m", pa.list_(pa.float64())), ("deg", pa.int64())])
         if not len(ids) or not right.num_rows:
             return schema.empty_table()
         x, y = matrix(left.column("x"))[order], matrix(right.column("y"))
@@ -67,15 +67,18 @@ def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None) -
         total, deg = np.zeros_like(x), np.bincount(to, minlength=len(ids))
         for at in range(0, len(to), EDGE_CHUNK):
             i, j = to[at : at + EDGE_CHUNK], frm[at : at + EDGE_CHUNK]
-            n = nx[i] * ny[j]
-            cos = np.divide(np.einsum("ij,ij->i", x[i], y[j]), n, out=np.zeros(len(i)), where=n > 0)
+            if weighted:
+                n = nx[i] * ny[j]
+                cos = np.divide(np.einsum("ij,ij->i", x[i], y[j]), n, out=np.zeros(len(i)), where=n > 0)
+            else:
+                cos = np.ones(len(i))
             first = np.flatnonzero(np.concatenate(([True], i[1:] != i[:-1])))
             total[i[first]] += np.add.reduceat(cos[:, None] * y[j], first, axis=0)
         has = np.flatnonzero(deg)
         m = (total[has] / deg[has, None]).ravel()
-        return pa.Table.from_arrays([pa.array(ids[has]), pa.ListArray.from_arrays(np.arange(0, len(m) + 1, x.shape[1], dtype=np.int32), pa.array(m))], schema=schema)
+        return pa.Table.from_arrays([pa.array(ids[has]), pa.ListArray.from_arrays(np.arange(0, len(m) + 1, x.shape[1], dtype=np.int32), pa.array(m)), pa.array(deg[has].astype(np.int64))], schema=schema)
 
-    return own.groupBy("bucket").cogroup(sent.groupBy("to")).applyInArrow(run, "node_id long, m array<double>")
+    return own.groupBy("bucket").cogroup(sent.groupBy("to")).applyInArrow(run, "node_id long, m array<double>, deg long")
 
 
 def refine_once(nodes: DataFrame, both: DataFrame, alpha: float, engine: str = "sql") -> DataFrame:
