@@ -430,12 +430,25 @@ _TERMS = r"SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+'))
 
 @query("tfidf_terms", f"WITH t AS ({_TERMS}), tf AS (SELECT doc_id, w, count(*) AS n FROM t GROUP BY ALL), df AS (SELECT w, count(*) AS d FROM tf GROUP BY w) SELECT doc_id, w, round(n * ln((1.0 + (SELECT count(*) FROM documents)) / (1 + d)), 6) + 0.0 AS tfidf FROM tf JOIN df USING (w) WHERE d >= 50")
 def tfidf_terms(spark, sf_dir):
+    """The weights of terms in 50 documents at least, as the SQL has them; ``tfidf_terms_whole`` leaves no term out."""
+    return _tfidf(spark, sf_dir).filter("d >= 50").drop("d")
+
+
+@query("tfidf_terms_whole")
+def tfidf_terms_whole(spark, sf_dir):
+    """The weight of every term of every document, rare terms too."""
+    return _tfidf(spark, sf_dir).drop("d")
+
+
+def _tfidf(spark, sf_dir):
+    """``doc_id, w, d, tfidf``: every term of every document, and how many documents have it."""
     d = table(spark, sf_dir, "documents")
-    words = d.select("doc_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-zà-ÿ]+"), 0)).alias("w"))
+    texts = d.select("doc_id", "text").repartition("doc_id")  # the text is shuffled once, and its terms are counted where it lies
+    words = texts.select("doc_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-zà-ÿ]+"), 0)).alias("w"))
     tf = words.groupBy("doc_id", "w").agg(F.count("*").alias("n"))
-    df = tf.groupBy("w").agg(F.count("*").alias("d")).filter("d >= 50")
+    df = tf.groupBy("w").agg(F.count("*").alias("d"))
     n = d.agg(F.count("*").alias("docs"))
-    return tf.join(df, "w").crossJoin(F.broadcast(n)).select("doc_id", "w", V.r6(F.col("n") * F.log((1.0 + F.col("docs")) / (1 + F.col("d")))).alias("tfidf"))
+    return tf.join(df, "w").crossJoin(F.broadcast(n)).select("doc_id", "w", "d", V.r6(F.col("n") * F.log((1.0 + F.col("docs")) / (1 + F.col("d")))).alias("tfidf"))
 
 
 @query("hashed_tfidf")
