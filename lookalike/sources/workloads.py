@@ -113,11 +113,8 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), 1)).alias("target")).distinct()
 
 
-def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int | None = 8) -> AnchoredGraph:
-    """Pages that share a link target; hashed body terms; the page's language as label.
-
-    A target of more than ``max_group`` pages links all with all and says little; it is left out.
-    """
+def page_nodes(spark: SparkSession, sf_dir: str, dim: int = 128) -> DataFrame:
+    """Hashed body terms of each page; its language as label."""
     p = table(spark, sf_dir, "pages")
     words = p.select("page_id", F.explode(F.split(F.lower(F.regexp_replace("html", "<[^>]*>", " ")), r"\s+")).alias("w")).filter("w <> ''")
     tf = words.groupBy("page_id", F.pmod(F.xxhash64("w"), F.lit(dim)).cast("int").alias("i")).agg(F.count("*").alias("n"))
@@ -126,15 +123,19 @@ def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int
     langs = page_langs(spark, sf_dir)
     names = sorted_values(langs, "lang")
     label = (F.array_position(F.array(*[F.lit(t) for t in names]), F.col("lang")) - 1).cast("int")
-    nodes = langs.join(sparse, "page_id", "left").select(F.col("page_id").alias("node_id"), F.coalesce(x, F.array_repeat(F.lit(0.0), dim)).alias("x"), label.alias("label"), split_of(F.col("page_id")).alias("split"))
-    edges = G.co_occurrence(page_links(spark, sf_dir), "target", "page_id", 1, max_group).select("src", "dst")
-    return AnchoredGraph(cut(nodes, "nodes"), cut(edges, "edges"))
+    return langs.join(sparse, "page_id", "left").select(F.col("page_id").alias("node_id"), F.coalesce(x, F.array_repeat(F.lit(0.0), dim)).alias("x"), label.alias("label"), split_of(F.col("page_id")).alias("split"))
+
+
+def page_graph(spark: SparkSession, sf_dir: str, dim: int = 128, max_group: int | None = None) -> AnchoredGraph:
+    """Pages that share a link target. Targets of more than ``max_group`` pages are left out; None leaves out none."""
+    edges = G.co_occurrence(page_links(spark, sf_dir), "target", "page_id", 1, max_group, 1024).select("src", "dst")
+    return AnchoredGraph(cut(page_nodes(spark, sf_dir, dim), "nodes"), cut(edges, "edges"))
 
 
 def page_near_graph(spark: SparkSession, sf_dir: str, tau: float = 0.92) -> AnchoredGraph:
     """Pages of alike term vectors. Link targets here tie pages of different languages together, which a
     convolution can only blur; this graph is the one that models are fitted on."""
-    nodes = page_graph(spark, sf_dir).nodes
+    nodes = cut(page_nodes(spark, sf_dir), "nodes")
     return AnchoredGraph(nodes, cut(G.epsilon(nodes, tau), "edges"))
 
 

@@ -2,8 +2,10 @@
 
 import duckdb
 
+from lookalike.operators import graph
 from lookalike.plans import method_queries, operator_queries  # noqa: F401
 from lookalike.plans.registry import QUERIES
+from lookalike.sources import workloads
 
 _TFIDF = r"""WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS w FROM '{sf}/documents.parquet'),
 tf AS (SELECT doc_id, w, count(*) AS n FROM t GROUP BY ALL), df AS (SELECT w, count(*) AS d FROM tf GROUP BY w)
@@ -17,3 +19,18 @@ def test_tfidf_keeps_rare_terms(spark, sf):
     assert len(rows) == len(got) and got.keys() == want.keys()
     assert all(abs(got[k] - want[k]) < 2e-6 for k in want)
     assert len(got) > QUERIES["tfidf_terms"](spark, sf).count()
+
+
+def test_edges_page_keeps_common_targets(spark, tmp_path):
+    rows = [(i, "u", '<html lang="en"><a href="/all">' + (f'<a href="/p{i // 2}">' if i < 20 else "")) for i in range(230)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(str(tmp_path / "pages.parquet"))
+    got = {(r.src, r.dst): r.support for r in QUERIES["edges_page"](spark, str(tmp_path)).collect()}
+    assert len(got) == 230 * 229 // 2
+    assert all(n == (2 if b < 20 and a // 2 == b // 2 else 1) for (a, b), n in got.items())
+    assert workloads.page_graph(spark, str(tmp_path)).edges.count() == len(got)
+
+
+def test_blocks_of_a_group_make_each_pair_once(spark):
+    rows = spark.createDataFrame([(g, i) for g, n in ((1, 40), (2, 3), (3, 1)) for i in range(n)], "g int, i long")
+    whole = sorted(map(tuple, graph.co_occurrence(rows, "g", "i").collect()))
+    assert sorted(map(tuple, graph.co_occurrence(rows, "g", "i", block=7).collect())) == whole and len(whole) == 780
