@@ -57,6 +57,32 @@ def co_occurrence(rows: DataFrame, group: str, item: str, min_support: int = 1,
     return pairs.groupBy(F.least("a.i", "b.i").alias("src"), F.greatest("a.i", "b.i").alias("dst")).agg(F.count("*").alias("support")).filter(F.col("support") >= min_support)
 
 
+#: Buckets of word counts that are broadcast, whatever the table's size.
+COUNTED = 1 << 17
+
+
+def alike_sets(rows: DataFrame, item: str, elements: str, above: tuple[int, int]) -> DataFrame:
+    """``src, dst``: items whose element sets have a Jaccard similarity above ``above`` (a fraction in integers), all of them and exactly.
+
+    Two such sets share one of the first elements of each in any one order of all elements, so only
+    pairs that share such an element are compared. The order puts rare elements first, by counts per
+    hash bucket; a bucket of several elements costs candidates, never a pair. An empty set is like none.
+    """
+    num, den = above
+    sets = cut(rows.select(F.col(item).alias("i"), F.array_distinct(elements).alias("s")).withColumn("n", F.size("s")).filter("n > 0"), "sets")
+    at = F.pmod(F.xxhash64("w"), F.lit(COUNTED)).alias("at")
+    counts = cut(sets.select(F.explode("s").alias("w")).groupBy(at).agg(F.count("*").alias("d")), "counts")  # COUNTED rows at most
+    words = sets.repartition("i").select("i", "n", F.explode("s").alias("w")).withColumn("at", at).join(F.broadcast(counts), "at")
+    ranked = words.groupBy("i", "n").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("o"))
+    first = F.expr(f"slice(o, 1, n - CAST(floor(({num} * n + {den - 1}) / {den}) AS INT) + 1)")
+    posted = ranked.select(F.struct("i", "n").alias("set"), F.explode(first).alias("p")).select("set", "p.w")
+    near = co_occurrence(posted, "w", "set", block=1024).filter(den * F.least("src.n", "dst.n") > num * F.greatest("src.n", "dst.n"))
+    a, b = sets.select(F.col("i").alias("src"), F.col("s").alias("s1")), sets.select(F.col("i").alias("dst"), F.col("s").alias("s2"))
+    pairs = near.select(F.col("src.i").alias("src"), F.col("dst.i").alias("dst")).join(a, "src").join(b, "dst")
+    both = F.size(F.array_intersect("s1", "s2"))
+    return pairs.filter(den * both > num * (F.size("s1") + F.size("s2") - both)).select("src", "dst")
+
+
 def shared_key(rows: DataFrame, item: str, keys: list[str]) -> DataFrame:
     """Items that agree on all of ``keys``."""
     r = rows.select(F.col(item).alias("i"), *keys)

@@ -472,16 +472,10 @@ def keyword_presence(spark, sf_dir):
 
 @query("near_copy_edges")
 def near_copy_edges(spark, sf_dir):
-    """Documents whose word sets are near copies by Spark's own MinHash join; copies of a text stand for one."""
-    from pyspark.ml.feature import CountVectorizer, MinHashLSH
-
+    """Documents whose whole word sets have a Jaccard distance below 0.2, exactly; copies of a text stand for one."""
     d = table(spark, sf_dir, "documents").filter("text is not null").groupBy("text").agg(F.min("doc_id").alias("doc_id"))
-    words = d.select("doc_id", F.array_distinct(F.split(F.lower("text"), r"\s+")).alias("w")).filter(F.size("w") > 3)
-    vec = CountVectorizer(inputCol="w", outputCol="features", vocabSize=1 << 16, binary=True).fit(words).transform(words)
-    vec = vec.filter(F.size(F.filter(vector_to_array("features"), lambda v: v > 0)) > 0).select("doc_id", "features")
-    model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=6, seed=7).fit(vec)
-    j = model.approxSimilarityJoin(vec, vec, 0.2, "dist").filter("datasetA.doc_id < datasetB.doc_id")
-    return j.select(F.col("datasetA.doc_id").alias("src"), F.col("datasetB.doc_id").alias("dst"))
+    words = d.select("doc_id", F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "").alias("w"))
+    return graph.alike_sets(words, "doc_id", "w", (4, 5))
 
 
 @query("user_features", "SELECT user_id AS node_id, event_type, count(*) AS n FROM events GROUP BY ALL")

@@ -34,3 +34,16 @@ def test_blocks_of_a_group_make_each_pair_once(spark):
     rows = spark.createDataFrame([(g, i) for g, n in ((1, 40), (2, 3), (3, 1)) for i in range(n)], "g int, i long")
     whole = sorted(map(tuple, graph.co_occurrence(rows, "g", "i").collect()))
     assert sorted(map(tuple, graph.co_occurrence(rows, "g", "i", block=7).collect())) == whole and len(whole) == 780
+
+
+def test_near_copy_edges_equal_brute_force(spark, tmp_path):
+    common = [f"c{i}" for i in range(30)]
+    texts = [None, "", "  ", "a b c", "c  b a", "a b c d", "x", "X ", " y x"]
+    for k in range(12):  # near copies that only rare words tell apart, or hold together
+        texts += [" ".join([*common, *[f"r{k}_{j}" for j in range(n)]]) for n in (3, 9)] + [" ".join(f"q{k // 3}_{j}" for j in range(20 + k % 3 * 2))]
+    rows = list(enumerate(texts))
+    spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars int").write.parquet(str(tmp_path / "documents.parquet"))
+    sets = {i: set(t.lower().split()) for i, t in rows if t and t.split()}
+    want = {(a, b) for a in sets for b in sets if a < b and 5 * len(sets[a] & sets[b]) > 4 * len(sets[a] | sets[b])}
+    got = [tuple(r) for r in QUERIES["near_copy_edges"](spark, str(tmp_path)).collect()]
+    assert set(got) == want and len(got) == len(want) and {(3, 4), (6, 7)} <= want
