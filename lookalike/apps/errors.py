@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from itertools import combinations
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.graph import AnchoredGraph, khop
+from ..operators.relational import numbered
+from ..session import cut
 
 
 def accuracy_in_pairs(pairs: DataFrame, predictions: DataFrame, labels: DataFrame, ks: list[int], unit: str = "node") -> DataFrame:
@@ -24,26 +24,51 @@ def accuracy_in_pairs(pairs: DataFrame, predictions: DataFrame, labels: DataFram
     return grid.join(per, F.col("rank") <= F.col("k")).groupBy("k").agg(F.sum("n").alias("n_nodes"), (F.sum("ok") / F.sum("n")).alias("accuracy"))
 
 
-def edge_mask_flip(graph: AnchoredGraph, predict, node_id: int, max_edges: int = 1, most: int = 64) -> DataFrame:
-    """``size, removed, before, after``: the smallest sets of a node's edges whose removal changes its verdict.
+def edge_mask_flip(graph: AnchoredGraph, predict, queries: DataFrame, max_edges: int = 1, hops: int = 3) -> DataFrame:
+    """``node_id, size, removed, before, after``: the smallest sets of a node's edges whose removal changes its verdict.
 
-    ``predict(graph)`` gives verdicts. Only the node's anchored neighbourhood is read; every subset
-    of at most ``max_edges`` of its first ``most`` edges is one masked graph of disjoint node ids, so
-    all subsets are judged in one batch.
+    ``queries`` has ``node_id``; ``predict(graph)`` gives verdicts that depend on ``hops`` hops. All
+    edges of a node are tried, first one by one, then, for nodes that no single edge flips, in pairs
+    and so on to ``max_edges``. Every set is a masked copy of the node's anchored neighbourhood
+    under ids of its own, so all copies of a size are judged in one distributed pass; their number
+    is the binomial coefficient of the degree, which ``max_edges`` bounds.
     """
-    spark = graph.nodes.sparkSession
-    near = khop(graph.edges, spark.createDataFrame([(node_id,)], "node_id long"), 3).select("node_id")
-    nodes = graph.nodes.join(near, "node_id", "left_semi")
-    edges = graph.edges.join(near.withColumnRenamed("node_id", "src"), "src", "left_semi").join(near.withColumnRenamed("node_id", "dst"), "dst", "left_semi")
-    mine = edges.filter((F.col("src") == node_id) | (F.col("dst") == node_id)).select("src", "dst").orderBy("src", "dst").limit(most).collect()
-    masks = [()] + [c for n in range(1, max_edges + 1) for c in combinations(range(len(mine)), n)]
-    wide = spark.createDataFrame([(i, [f"{mine[j]['src']}-{mine[j]['dst']}" for j in c]) for i, c in enumerate(masks)], "mask long, removed array<string>")
-    shift = F.lit(1 << 32) * F.col("mask")
-    n = nodes.crossJoin(F.broadcast(wide.select("mask"))).withColumn("node_id", F.col("node_id") + shift)
-    e = edges.crossJoin(F.broadcast(wide)).filter(~F.array_contains("removed", F.concat_ws("-", "src", "dst")))
-    e = e.select((F.col("src") + shift).alias("src"), (F.col("dst") + shift).alias("dst"))
-    got = predict(AnchoredGraph(n.drop("mask"), e)).filter(F.col("node_id") % (1 << 32) == node_id).select((F.col("node_id") / (1 << 32)).cast("long").alias("mask"), "verdict")
-    before = got.filter("mask = 0").select(F.col("verdict").alias("before"))
-    flips = got.join(wide, "mask").crossJoin(before).filter("verdict <> before").select(F.size("removed").alias("size"), "removed", "before", F.col("verdict").alias("after"))
-    least = flips.agg(F.min("size").alias("least"))
-    return flips.crossJoin(least).filter("size = least").drop("least")
+    nodes = numbered(graph.nodes, "node_id", "__at").withColumn("__at", F.col("__at").cast("long"))
+    nodes = cut(nodes, "nodes")
+    around = cut(khop(graph.edges, queries.select("node_id").distinct(), hops).select("seed", "node_id"), "around")
+    one = graph.edges.select("src", "dst")
+    inner = one.join(around.select("seed", F.col("node_id").alias("src")), "src").join(around.select("seed", F.col("node_id").alias("dst")), ["seed", "dst"])
+    inner = cut(inner.select("seed", "src", "dst"), "edges")
+    mine = inner.filter((F.col("src") == F.col("seed")) | (F.col("dst") == F.col("seed"))).select("seed", F.struct("src", "dst").alias("e"))
+    empty = F.array().cast("array<struct<src:bigint,dst:bigint>>")
+    masks = around.select("seed").distinct().withColumn("removed", empty)
+    before, left, out = None, around.select("seed").distinct(), None
+    for size in range(max_edges + 1):
+        if size:
+            more = masks.join(mine, "seed").filter((F.size("removed") == 0) | (F.element_at("removed", -1) < F.col("e")))
+            masks = more.select("seed", F.concat("removed", F.array("e")).alias("removed")).join(left, "seed", "left_semi")
+        masks = cut(numbered(masks.withColumn("__key", F.struct("seed", "removed")), "__key", "mask").drop("__key"), "masks")
+        judged = cut(_judged(nodes, around, inner, masks, predict), "judged")
+        if size == 0:
+            before = judged.select("seed", F.col("verdict").alias("before"))
+            continue
+        masks = masks.select("seed", "removed")
+        flips = judged.join(before, "seed").filter("verdict <> before")
+        flips = cut(flips.select(F.col("seed").alias("node_id"), F.lit(size).alias("size"), "removed", "before", F.col("verdict").alias("after")), "flips")
+        out = flips if out is None else out.union(flips)
+        left = left.join(flips.select(F.col("node_id").alias("seed")).distinct(), "seed", "left_anti")
+    return out
+
+
+def _judged(nodes: DataFrame, around: DataFrame, inner: DataFrame, masks: DataFrame, predict) -> DataFrame:
+    """``seed, removed, verdict`` of each mask's seed in its masked copy."""
+    shift = F.col("mask") * F.lit(1 << 31)  # places of nodes are below it
+    place = nodes.select("node_id", "__at")
+    copies = masks.join(around, "seed").join(nodes, "node_id")
+    n = copies.withColumn("node_id", shift + F.col("__at")).drop("seed", "removed", "mask", "__at")
+    e = inner.join(place.select(F.col("node_id").alias("src"), F.col("__at").alias("s")), "src").join(place.select(F.col("node_id").alias("dst"), F.col("__at").alias("d")), "dst")
+    e = masks.join(e, "seed").filter(~F.array_contains("removed", F.struct("src", "dst")))
+    e = e.select((shift + F.col("s")).alias("src"), (shift + F.col("d")).alias("dst"))
+    got = predict(AnchoredGraph(cut(n, "copies"), cut(e, "copied-edges"))).select("node_id", "verdict")
+    seeds = masks.join(place.withColumnRenamed("node_id", "seed"), "seed").select("seed", "removed", (shift + F.col("__at")).alias("node_id"))
+    return seeds.join(got, "node_id").select("seed", "removed", "verdict")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -10,10 +11,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..session import ship
+from ..session import cut, ship
 
-#: Rows of a block: two of them at 200 double dimensions take 13 MB.
-BLOCK = 4096
+#: Rows of a small block, and numbers of a large one (64 MB of doubles).
+BLOCK, BLOCK_NUMBERS = 4096, 8_000_000
+#: Groups that a grid should have before its blocks grow, and rows of a grid that may be broadcast.
+GRID, GRID_ROWS = 64, 100_000
 
 FOUND = T.StructType([T.StructField("v", T.LongType()), T.StructField("u", T.LongType()), T.StructField("sim", T.DoubleType())])
 
@@ -62,26 +65,42 @@ def topk_rows(s: np.ndarray, ids_v: np.ndarray, ids_u: np.ndarray, k: int) -> tu
     return ids_v[i[keep]], ids_u[j[keep]], sim[keep]
 
 
-def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int = BLOCK) -> DataFrame:
+def blocks_of(rows, dim, block: int | None = None):
+    """How many blocks ``rows`` vectors of ``dim`` numbers are dealt to.
+
+    A vector travels once per block of the other side, so blocks are as large as 64 MB allows; as
+    long as a grid of them would leave cores idle they are smaller. ``block`` fixes the rows.
+    """
+    if block:
+        return F.ceil(rows / block).cast("int")
+    large = F.ceil(rows * dim / BLOCK_NUMBERS)
+    return F.greatest(large, F.least(F.ceil(rows / BLOCK), F.lit(math.isqrt(GRID)))).cast("int")
+
+
+def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int | None = None) -> DataFrame:
     """``v, u, sim``: for each query and block of members of its ``cell``, the best ``k`` of another verdict.
 
-    Both have ``cell, node_id, verdict, sig``. Cells are counted first; a cell of more than
-    ``block`` rows on either side becomes a grid of block pairs, each its own group, so no cell is
-    gathered in one task. Merge the lists with ``scan.merge_topk``.
+    Both have ``cell, node_id, verdict, sig``. Cells are counted first; a cell of several blocks on
+    either side becomes a grid of block pairs, each its own group, so no cell is gathered in one
+    task. Inside a group the rows lie by verdict, and products of one verdict with itself
+    are left out, as its rows cannot be twins. Merge the lists with ``scan.merge_topk``.
     """
     ship(members.sparkSession)
-    nq = queries.groupBy("cell").agg(F.ceil(F.count("*") / block).cast("int").alias("nq"))
-    nm = members.groupBy("cell").agg(F.ceil(F.count("*") / block).cast("int").alias("nm"))
-    grid = F.broadcast(nq.join(nm, "cell"))  # one row per cell: p * m at most
+    dim = F.coalesce(F.max(F.size("sig")), F.lit(1))
+    nq = queries.groupBy("cell").agg(blocks_of(F.count("*"), dim, block).alias("nq"))
+    nm = members.groupBy("cell").agg(blocks_of(F.count("*"), dim, block).alias("nm"))
+    grid = cut(nq.join(nm, "cell"), "grid")  # a row per cell
+    if grid.limit(GRID_ROWS + 1).count() <= GRID_ROWS:
+        grid = F.broadcast(grid)
     salt = F.xxhash64("node_id")
 
     def dealt(df: DataFrame, own: str, other: str, role: int) -> DataFrame:
-        r = df.join(grid, "cell").withColumn("own", F.pmod(salt, F.col(own)).cast("int"))
+        r = df.filter("verdict is not null").join(grid, "cell").withColumn("own", F.pmod(salt, F.col(own)).cast("int"))
         r = r.withColumn("other", F.explode(F.sequence(F.lit(0), F.col(other) - 1)))
         i, j = ("own", "other") if role == 0 else ("other", "own")
         return r.select(F.xxhash64("cell", i, j).alias("grp"), F.lit(role).alias("role"), "node_id", "verdict", "sig")
 
-    rows = dealt(queries, "nq", "nm", 0).union(dealt(members, "nm", "nq", 1)).repartition("grp").sortWithinPartitions("grp", "role", "node_id")
+    rows = dealt(queries, "nq", "nm", 0).union(dealt(members, "nm", "nq", 1)).repartition("grp").sortWithinPartitions("grp", "role", "verdict", "node_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in groups_in_order(batches):
@@ -90,13 +109,20 @@ def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int = BL
             n = int((role == 0).sum())
             if not n or n == len(ids):
                 continue
-            for at in range(0, n, 512):
-                stop = min(n, at + 512)
-                s = np.round(x[at:stop] @ x[n:].T, 9)
-                s[(verdict[at:stop, None] == verdict[None, n:]) | (ids[at:stop, None] == ids[None, n:])] = -np.inf
-                v, u, sim = topk_rows(s, ids[at:stop], ids[n:], k)
-                if len(v):
-                    yield pa.RecordBatch.from_arrays([pa.array(v), pa.array(u), pa.array(sim)], names=FOUND.names)
+            far_ids, far_verdict, far = ids[n:], verdict[n:], x[n:]
+            cuts = np.flatnonzero(verdict[1:n] != verdict[: n - 1]) + 1
+            for lo, hi in zip(np.r_[0, cuts], np.r_[cuts, n], strict=True):  # queries of one verdict
+                other = far_verdict != verdict[lo]
+                if not other.any():
+                    continue
+                there, u_ids = far[other], far_ids[other]
+                for at in range(lo, hi, 512):
+                    stop = min(hi, at + 512)
+                    s = np.round(x[at:stop] @ there.T, 9)
+                    s[ids[at:stop, None] == u_ids[None, :]] = -np.inf
+                    v, u, sim = topk_rows(s, ids[at:stop], u_ids, k)
+                    if len(v):
+                        yield pa.RecordBatch.from_arrays([pa.array(v), pa.array(u), pa.array(sim)], names=FOUND.names)
 
     return rows.mapInArrow(run, FOUND)
 
@@ -104,14 +130,14 @@ def blocked_topk(queries: DataFrame, members: DataFrame, k: int, block: int = BL
 PAIRS = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType()), T.StructField("sim", T.DoubleType())])
 
 
-def blocked_pairs(rows: DataFrame, least: float, strict: bool = False, block: int = BLOCK) -> DataFrame:
+def blocked_pairs(rows: DataFrame, least: float, strict: bool = False, block: int | None = None) -> DataFrame:
     """``a, b, sim`` with a < b: pairs of ``rows`` (node_id, verdict, sig) whose dot product, rounded to nine digits, reaches ``least``.
 
     Pairs of equal verdicts are left out; where verdicts are null no pair is. Rows are dealt to
     blocks by hash, every pair of blocks is one group, and the upper half of the grid is enough.
     """
     ship(rows.sparkSession)
-    nb = F.greatest(F.ceil(F.count("*") / block).cast("int"), F.lit(1))
+    nb = F.greatest(blocks_of(F.count("*"), F.coalesce(F.max(F.size("sig")), F.lit(1)), block), F.lit(1))
     r = rows.select("node_id", F.col("verdict").cast("int").alias("verdict"), "sig").crossJoin(F.broadcast(rows.agg(nb.alias("nb"))))  # one row
     r = r.withColumn("own", F.pmod(F.xxhash64("node_id"), F.col("nb")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     r = r.select(F.xxhash64(F.least("own", "other"), F.greatest("own", "other")).alias("grp"), "own", "node_id", "verdict", "sig")

@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..session import cut
+
 
 def band_join(left: DataFrame, right: DataFrame, on_left: str, on_right: str, width: float) -> DataFrame:
     """Pairs with ``|on_left - on_right| <= width``: bands of that width make it an equi join; the left side visits three."""
@@ -43,3 +45,19 @@ def salted_join(big: DataFrame, small: DataFrame, key: str, salts: int = 8, salt
     b = big.withColumn("__salt", F.pmod(F.xxhash64(salt_by or F.monotonically_increasing_id()), F.lit(salts)).cast("int"))
     s = small.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return b.join(s, [key, "__salt"]).drop("__salt")
+
+
+def numbered(rows: DataFrame, order: str, name: str) -> DataFrame:
+    """``rows`` with ``name``: their place, from 1, in the order of ``order``, whose values are distinct.
+
+    Ranges are sorted side by side; only one count per range meets on the driver, so no task holds all rows.
+    """
+    part, nth = "__part", "__nth"
+    dealt = cut(rows.repartitionByRange(order).sortWithinPartitions(order).withColumn(part, F.spark_partition_id()), "ranges")
+    before, total = [], 0
+    for r in dealt.groupBy(part).agg(F.count("*").alias("n")).orderBy(part).collect():  # a row per range
+        before.append((r[part], total))
+        total += r["n"]
+    base = F.create_map(*[F.lit(v) for pair in before for v in pair]) if before else F.create_map(F.lit(0), F.lit(0))
+    nthed = dealt.withColumn(nth, F.row_number().over(Window.partitionBy(part).orderBy(order)))
+    return nthed.withColumn(name, (F.col(nth) + F.element_at(base, F.col(part))).cast("long")).drop(part, nth)

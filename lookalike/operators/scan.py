@@ -24,7 +24,11 @@ def _scored(sigs: DataFrame, query_id: int) -> DataFrame:
     q = _query(sigs, query_id)
     if q is None:
         return sigs.filter(F.lit(False)).select(F.col("node_id").alias("u"), F.lit(0.0).alias("sim"))
-    verdict, sig = q
+    return scored_against(sigs, *q)
+
+
+def scored_against(sigs: DataFrame, verdict: int, sig: list[float]) -> DataFrame:
+    """``u, sim`` of the rows of ``sigs`` that are judged otherwise than ``verdict``."""
     literal = F.array(*[F.lit(float(x)) for x in sig])
     return sigs.filter(F.col("verdict") != F.lit(verdict)).select(F.col("node_id").alias("u"), F.round(V.dot("sig", literal), 9).alias("sim"))
 

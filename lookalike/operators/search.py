@@ -9,18 +9,23 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import cut
-from .index import TwinIndex, cell
+from .index import TwinIndex, by_preference, cell
 from .kernels import blocked_topk
-from .scan import _scored, exact_scan_all, merge_topk, ranked
+from .scan import exact_scan_all, merge_topk, ranked, scored_against
 
 
 def index_search(index: TwinIndex, query_id: int, k: int = 1) -> DataFrame:
-    """``u, rank, sim`` from the query's home cluster alone."""
-    home = index.nodes.filter(F.col("node_id") == query_id).select("layer", "cluster").head()
+    """``u, rank, sim`` from the query's home cluster alone.
+
+    Two small reads of the stored index: the folder that the id hashes to, then the folder of the
+    home cell. Nothing else of the nodes is read, so the cost follows n / m and not n.
+    """
+    shelf = index.shelf()
+    home = shelf.find(query_id)
     if home is None:
-        return index.nodes.filter(F.lit(False)).select(F.col("node_id").alias("u"), F.lit(0).alias("rank"), F.lit(0.0).alias("sim"))
-    at = index.layers.numbers.index(home["layer"])
-    return ranked(_scored(index.nodes.filter((F.col("clusters")[at] == home["cluster"]) | (F.col("node_id") == query_id)), query_id), k)
+        return ranked(shelf.postings.filter(F.lit(False)).select(F.col("node_id").alias("u"), F.lit(0.0).alias("sim")), k)
+    cell_rows = shelf.members(home["layer"], [home["cluster"]])
+    return ranked(scored_against(cell_rows, home["verdict"], home["sig"]), k)
 
 
 def _search(index: TwinIndex, queries: DataFrame, k: int) -> DataFrame:
@@ -30,16 +35,13 @@ def _search(index: TwinIndex, queries: DataFrame, k: int) -> DataFrame:
 
 def probes(index: TwinIndex, r: int) -> DataFrame:
     """``node_id, verdict, sig, layer, cluster, nth``: the ``r`` best layers of each node, best first."""
-    numbers = F.array(*[F.lit(n) for n in index.layers.numbers])
-    packed = F.arrays_zip(F.transform("weights", lambda w: F.round(w, 12)).alias("weight"), numbers.alias("layer"), F.col("clusters").alias("cluster"))
-    best = index.nodes.select("node_id", "verdict", "sig", F.slice(F.array_sort(packed), 1, r).alias("best"))
+    best = index.nodes.select("node_id", "verdict", "sig", F.slice(F.array_sort(by_preference(index.layers)), 1, r).alias("best"))
     return best.select("node_id", "verdict", "sig", F.posexplode("best").alias("nth", "b")).select("node_id", "verdict", "sig", F.col("b.layer").alias("layer"), F.col("b.cluster").alias("cluster"), "nth")
 
 
 def _postings_of(index: TwinIndex, cells: DataFrame) -> DataFrame:
-    """Postings of the given ``layer, cluster`` cells (at most p * m)."""
-    wanted = sorted(map(tuple, cells.select("layer", "cluster").distinct().collect()))
-    return index.postings(wanted).select("cell", "node_id", "verdict", "sig")
+    """Postings of the given ``layer, cluster`` cells."""
+    return index.postings(cells.select(cell().alias("cell"))).select("cell", "node_id", "verdict", "sig")
 
 
 def index_search_all(index: TwinIndex, k: int, on_shortage: str = "return_short", r: int = 1) -> DataFrame:
@@ -68,35 +70,38 @@ def index_search_all(index: TwinIndex, k: int, on_shortage: str = "return_short"
     return kept.unionByName(more)
 
 
-def cluster_bounds(index: TwinIndex, layer: int = 0) -> list[tuple[int, np.ndarray, float, int]]:
-    """Per cluster of one layer: number, unit centroid, the widest angle of a member, members. m rows reach the driver."""
-    mu = index.layers.centroids[layer]
+def cluster_bounds(index: TwinIndex) -> list[tuple[int, np.ndarray, float, int]]:
+    """Per cluster of the first layer: number, unit centroid, the widest angle of a member, members. m rows reach the driver."""
+    mu = index.layers.centroids[0]
     length = np.linalg.norm(mu, axis=1, keepdims=True)
     unit = np.divide(mu, length, out=np.zeros_like(mu), where=length > 0)
-    rows = index.nodes.groupBy(F.col("clusters")[layer].alias("c")).agg(F.min(F.col("cosines")[layer]).alias("low"), F.count("*").alias("n")).collect()
-    return [(r["c"], unit[r["c"]], math.acos(max(-1.0, min(1.0, r["low"]))), r["n"]) for r in rows]
+    return [(c, unit[c], math.acos(max(-1.0, min(1.0, low))), n) for c, low, n in index.shelf().bounds]
 
 
-def bounded_exact(index: TwinIndex, query_id: int, k: int, layer: int = 0) -> DataFrame:
+def bounded_exact(index: TwinIndex, query_id: int, k: int) -> DataFrame:
     """The exact answer from as few clusters as the triangle inequality on angles allows.
 
-    Clusters are read in the order of the best cosine that they could hold; when ``k`` are found
-    and the next bound is below the k-th, the rest cannot matter.
+    Clusters of the first layer are read in the order of the best cosine that they could hold, one,
+    then two, then four at a time, each once; those whose bound is below the k-th best so far are
+    never read. The driver keeps the ``k`` best rows.
     """
-    q = index.nodes.filter(F.col("node_id") == query_id).select("sig").head()
+    shelf = index.shelf()
+    q = shelf.find(query_id)
     if q is None:
         return index_search(index, query_id, k)
     x = np.array(q["sig"])
-    bounds = sorted(((math.cos(max(0.0, math.acos(max(-1.0, min(1.0, float(x @ mu)))) - radius)), c) for c, mu, radius, _ in cluster_bounds(index, layer)), reverse=True)
-    read: list[int] = []
-    best = None
-    for bound, c in bounds:
-        if best is not None and len(best) == k and bound < best[-1]["sim"] - 1e-9:
+    bounds = sorted(((math.cos(max(0.0, math.acos(max(-1.0, min(1.0, float(x @ mu)))) - radius)), c) for c, mu, radius, _ in cluster_bounds(index)), reverse=True)
+    best: list[tuple[float, int]] = []
+    at, step = 0, 1
+    while at < len(bounds):
+        if len(best) == k and bounds[at][0] < -best[-1][0] - 1e-9:
             break
-        read.append(c)
-        part = index.nodes.filter(F.col("clusters")[layer].isin(read) | (F.col("node_id") == query_id))
-        best = ranked(_scored(part, query_id), k).orderBy("rank").collect()  # k rows
-    return ranked(_scored(index.nodes.filter(F.col("clusters")[layer].isin(read) | (F.col("node_id") == query_id)), query_id), k)
+        wave = [c for b, c in bounds[at : at + step] if len(best) < k or b >= -best[-1][0] - 1e-9]
+        found = scored_against(shelf.members(shelf.first, wave), q["verdict"], q["sig"]).orderBy(F.desc("sim"), "u").limit(k)
+        best = sorted(best + [(-r["sim"], r["u"]) for r in found.collect()])[:k]
+        at, step = at + step, step * 2
+    rows = [(u, i, round(-s, 6) + 0.0) for i, (s, u) in enumerate(best, 1)]
+    return index.nodes.sparkSession.createDataFrame(rows, "u long, rank int, sim double")
 
 
 def lsh_search(sigs: DataFrame, k: int, bucket: float = 1.0, tables: int = 8, max_dist: float = 2.0, seed: int = 42) -> DataFrame:

@@ -5,17 +5,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.window import Window
 
 from ..session import cut
 from .graph import symmetrize
+from .relational import numbered
 
 
 def refine_colors(nodes: DataFrame, edges: DataFrame, rounds: int, how: str = "md5") -> DataFrame:
     """``node_id, iter, color``; ``nodes`` has ``node_id, color``.
 
     A round's colour names the own colour and the sorted colours of the neighbours *before* the
-    round. ``md5`` needs no agreement between tasks; ``dense_rank`` numbers the distinct pairs;
+    round. ``md5`` needs no agreement between tasks; ``dense_rank`` numbers the distinct pairs in order, by ranges;
     ``multiset`` sums hashes of the neighbours' colours, so a hub's neighbours are never gathered.
     """
     both = cut(symmetrize(edges), "edges")
@@ -35,24 +35,29 @@ def refine_colors(nodes: DataFrame, edges: DataFrame, rounds: int, how: str = "m
         nxt = now.join(seen, "node_id", "left").select("node_id", text.alias("text"))
         if how == "md5":
             nxt = nxt.select("node_id", F.md5("text").alias("color"))
-        else:  # distinct texts only meet in one task
-            names = nxt.select("text").distinct().withColumn("color", F.dense_rank().over(Window.orderBy("text")).cast("string"))
+        else:
+            names = numbered(nxt.select("text").distinct(), "text", "place").select("text", F.col("place").cast("string").alias("color"))
             nxt = nxt.join(names, "text").select("node_id", "color")
         now = cut(nxt, "colors")
         out = out.union(now.withColumn("iter", F.lit(i)))
     return out.select("node_id", F.col("iter").cast(T.IntegerType()).alias("iter"), "color")
 
 
-def kernel(colors: DataFrame, around: DataFrame) -> DataFrame:
+def kernel(colors: DataFrame, around: DataFrame, queries: DataFrame | None = None) -> DataFrame:
     """``a, b, kernel``: cosine of the colour counts of two anchored neighbourhoods.
 
     ``around`` is ``seed, node_id`` as ``khop`` gives it; counts over all rounds, multiplied where colours agree.
+    With ``queries`` (node_id), those seeds against all others; without, each unordered pair of seeds.
     """
     hist = around.join(colors, "node_id").groupBy("seed", "iter", "color").agg(F.count("*").alias("n"))
     size = hist.groupBy("seed").agg(F.sqrt(F.sum(F.col("n") * F.col("n")).cast("double")).alias("size"))
-    a, b = hist.alias("a"), hist.alias("b")
-    shared = a.join(b, (F.col("a.iter") == F.col("b.iter")) & (F.col("a.color") == F.col("b.color")) & (F.col("a.seed") < F.col("b.seed")))
+    mine, mine_size, meet = hist, size, F.col("a.seed") < F.col("b.seed")
+    if queries is not None:
+        asked = queries.select(F.col("node_id").alias("seed"))
+        mine, mine_size, meet = hist.join(asked, "seed", "left_semi"), size.join(asked, "seed", "left_semi"), F.col("a.seed") != F.col("b.seed")
+    a, b = mine.alias("a"), hist.alias("b")
+    shared = a.join(b, (F.col("a.iter") == F.col("b.iter")) & (F.col("a.color") == F.col("b.color")) & meet)
     shared = shared.groupBy(F.col("a.seed").alias("a"), F.col("b.seed").alias("b")).agg(F.sum(F.col("a.n") * F.col("b.n")).alias("shared"))
-    sa, sb = size.select(F.col("seed").alias("a"), F.col("size").alias("sa")), size.select(F.col("seed").alias("b"), F.col("size").alias("sb"))
-    pairs = sa.join(sb, F.col("a") < F.col("b")).join(shared, ["a", "b"], "left")
+    a, b = mine_size.alias("a"), size.alias("b")
+    pairs = a.join(b, meet).select(F.col("a.seed").alias("a"), F.col("b.seed").alias("b"), F.col("a.size").alias("sa"), F.col("b.size").alias("sb")).join(shared, ["a", "b"], "left")
     return pairs.select("a", "b", (F.coalesce("shared", F.lit(0)) / (F.col("sa") * F.col("sb"))).alias("kernel"))

@@ -404,10 +404,10 @@ def page_links(spark, sf_dir):
     return W.page_links(spark, sf_dir)
 
 
-@query("edges_page", """WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS t FROM pages) SELECT a.page_id AS src, b.page_id AS dst, count(*) AS support FROM l a JOIN l b ON a.t = b.t AND a.page_id < b.page_id
- WHERE a.t IN (SELECT t FROM l GROUP BY t HAVING count(*) <= 200) GROUP BY ALL""")
+@query("edges_page", """WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS t FROM pages)
+SELECT a.page_id AS src, b.page_id AS dst, count(*) AS support FROM l a JOIN l b ON a.t = b.t AND a.page_id < b.page_id GROUP BY ALL""")
 def edges_page(spark, sf_dir):
-    """Every shared target counts; the SQL leaves out targets of more than 200 pages, of which sf0.01 and smaller tables have none."""
+    """Every shared target counts, however many pages link to it."""
     return graph.co_occurrence(W.page_links(spark, sf_dir), "target", "page_id", block=1024)
 
 
@@ -429,14 +429,8 @@ def edges_embedding(spark, sf_dir):
 _TERMS = r"SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-zà-ÿ]+')) AS w FROM documents"
 
 
-@query("tfidf_terms", f"WITH t AS ({_TERMS}), tf AS (SELECT doc_id, w, count(*) AS n FROM t GROUP BY ALL), df AS (SELECT w, count(*) AS d FROM tf GROUP BY w) SELECT doc_id, w, round(n * ln((1.0 + (SELECT count(*) FROM documents)) / (1 + d)), 6) + 0.0 AS tfidf FROM tf JOIN df USING (w) WHERE d >= 50")
+@query("tfidf_terms", f"WITH t AS ({_TERMS}), tf AS (SELECT doc_id, w, count(*) AS n FROM t GROUP BY ALL), df AS (SELECT w, count(*) AS d FROM tf GROUP BY w) SELECT doc_id, w, round(n * ln((1.0 + (SELECT count(*) FROM documents)) / (1 + d)), 6) + 0.0 AS tfidf FROM tf JOIN df USING (w)")
 def tfidf_terms(spark, sf_dir):
-    """The weights of terms in 50 documents at least, as the SQL has them; ``tfidf_terms_whole`` leaves no term out."""
-    return _tfidf(spark, sf_dir).filter("d >= 50").drop("d")
-
-
-@query("tfidf_terms_whole")
-def tfidf_terms_whole(spark, sf_dir):
     """The weight of every term of every document, rare terms too."""
     return _tfidf(spark, sf_dir).drop("d")
 
@@ -461,18 +455,28 @@ def hashed_tfidf(spark, sf_dir):
     return IDF(inputCol="tf", outputCol="v").fit(tf).transform(tf).select("doc_id", vector_to_array("v").alias("x"))
 
 
-@query("keyword_presence")
+_WORDS = r"[^ \t\n\x0B\f\r]+"
+
+
+@query("keyword_presence", f"SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '{_WORDS}')) AS word, 1 AS present FROM documents")
 def keyword_presence(spark, sf_dir):
-    from pyspark.ml.feature import CountVectorizer
+    """The binary presence vector of each document over the whole vocabulary, as its non-zero entries."""
+    d = table(spark, sf_dir, "documents")
+    words = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_WORDS), 0))
+    per_row = d.select("doc_id", F.explode(words).alias("word"))
+    return per_row.distinct().select("doc_id", "word", F.lit(1).alias("present"))
 
-    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(F.coalesce("text", F.lit(""))), r"\s+").alias("words"))
-    model = CountVectorizer(inputCol="words", outputCol="v", vocabSize=512, binary=True).fit(d)
-    return model.transform(d).select("doc_id", F.aggregate(vector_to_array("v"), F.lit(0.0), lambda s, v: s + v).alias("present"))
+
+@query("near_copy_classes", "SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS class_id FROM documents WHERE text IS NOT NULL")
+def near_copy_classes(spark, sf_dir):
+    """Which document stands for each text in ``near_copy_edges``: the copy with the smallest id."""
+    d = table(spark, sf_dir, "documents").filter("text is not null").select("doc_id", F.sha2("text", 256).alias("h"))
+    return d.join(d.groupBy("h").agg(F.min("doc_id").alias("class_id")), "h").select("doc_id", "class_id")
 
 
 @query("near_copy_edges")
 def near_copy_edges(spark, sf_dir):
-    """Documents whose whole word sets have a Jaccard distance below 0.2, exactly; copies of a text stand for one."""
+    """Documents whose whole word sets have a Jaccard distance below 0.2, exactly; copies of a text stand for one, which ``near_copy_classes`` names."""
     d = table(spark, sf_dir, "documents").filter("text is not null").groupBy("text").agg(F.min("doc_id").alias("doc_id"))
     words = d.select("doc_id", F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "").alias("w"))
     return graph.alike_sets(words, "doc_id", "w", (4, 5))

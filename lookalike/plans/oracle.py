@@ -151,7 +151,7 @@ def layers(p: int, m: int, rounds: int, dim: int, carry: str = "last", rule: str
         out.append(f"cw{i} AS MATERIALIZED (SELECT n.id, {mix} AS w FROM cw{i - 1} o JOIN wt{i} n USING (id))")
     union = " UNION ALL ".join(f"SELECT {i} AS layer, c, id, cos, w FROM at{i} JOIN wt{i} USING (id)" for i in range(1, p + 1))
     out.append(f"asg AS MATERIALIZED ({union})")
-    out.append("home AS MATERIALIZED (SELECT id, layer, c FROM (SELECT id, layer, c, row_number() OVER (PARTITION BY id ORDER BY round(w, 12), layer) AS rn FROM asg) WHERE rn = 1)")
+    out.append("home AS MATERIALIZED (SELECT id, layer, c FROM (SELECT id, layer, c, row_number() OVER (PARTITION BY id ORDER BY round(w, 12), round(cos, 12) DESC, layer) AS rn FROM asg) WHERE rn = 1)")
     return ",\n".join(x for x in out if x)
 
 

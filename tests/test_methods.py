@@ -391,8 +391,92 @@ def test_edge_mask_flip(spark):
         s = g.both_ways().join(g.nodes.withColumnRenamed("node_id", "dst"), "dst").groupBy(F.col("src").alias("node_id")).agg(F.sum(F.col("x")[0]).alias("s"))
         return g.nodes.join(s, "node_id", "left").select("node_id", (F.coalesce("s", F.lit(0.0)) > 0.5).cast("int").alias("verdict"))
 
-    got = errors.edge_mask_flip(AnchoredGraph(nodes, edges), predict, 0, 2).collect()
-    assert sorted(r["removed"] for r in got) == [["0-1"], ["0-2"]] and {(r["before"], r["after"]) for r in got} == {(1, 0)}
+    asked = nodes.filter("node_id in (0, 3)").select("node_id")
+    got = errors.edge_mask_flip(AnchoredGraph(nodes, edges), predict, asked, 2).collect()
+    assert sorted([tuple(e) for e in r["removed"]] for r in got) == [[(0, 1)], [(0, 2)]] and {(r["node_id"], r["size"], r["before"], r["after"]) for r in got} == {(0, 1, 1, 0)}
+    strong = edges.filter("dst <> 3")  # two like neighbours: no single edge flips node 0, both do
+    got = errors.edge_mask_flip(AnchoredGraph(nodes, strong), predict, asked, 2).collect()
+    assert [[tuple(e) for e in r["removed"]] for r in got] == [[(0, 1), (0, 2)]]
+
+
+def test_edge_mask_flip_tries_every_edge(spark, small):
+    """Against numpy: each node's own edges, one by one and in pairs, under a one-layer convolution."""
+    from itertools import combinations
+
+    from lookalike.models import layers, predict
+
+    g, x, adj, _ = small
+    w = layers.closed_form(x.shape[1], 3)
+
+    def verdict(a, v):
+        c = 1 / np.sqrt(a.sum(1) + 1)
+        z = (c[v] * ((a[v] + np.eye(len(a))[v]) * c)) @ x @ w
+        return int(np.argmax(z))
+
+    want = set()
+    for v in (0, 7, 20):
+        mine = [tuple(sorted((v, int(u)))) for u in np.flatnonzero(adj[v])]
+        for size in (1, 2):
+            found = set()
+            for drop in combinations(sorted(mine), size):
+                a = adj.astype(float).copy()
+                for p, q in drop:
+                    a[p, q] = a[q, p] = 0
+                if verdict(a, v) != verdict(adj.astype(float), v):
+                    found.add((v, size, drop, verdict(adj.astype(float), v), verdict(a, v)))
+            if found:
+                want |= found
+                break
+
+    def model(graph_):
+        return predict.head(layers.gcn(graph_.nodes.select("node_id", "x"), graph_.both_ways(), w, activation=False), np.eye(3), np.zeros(3)).select("node_id", "verdict")
+
+    asked = g.nodes.filter("node_id in (0, 7, 20)").select("node_id")
+    got = errors.edge_mask_flip(AnchoredGraph(g.nodes.select("node_id", "x"), g.edges), model, asked, 2, 2).collect()
+    assert {(r["node_id"], r["size"], tuple(tuple(e) for e in r["removed"]), r["before"], r["after"]) for r in got} == want
+
+
+def test_saturated_weights_leave_layers_to_the_cosine(spark):
+    """At 500 dimensions nearly every weight is 1; homes must still spread over the layers and follow the cosine."""
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((300, 500))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    nodes = spark.createDataFrame([(i, i % 2, v.tolist()) for i, v in enumerate(x)], "node_id long, verdict int, sig array<double>")
+    made = index.build(nodes, LayerSpec(p=10, m=5, rounds=2)).nodes.collect()
+    assert sum(round(w, 12) == 1.0 for r in made for w in r["weights"]) > 0.9 * 3000
+    assert len({r["layer"] for r in made}) == 10 and max(np.bincount([r["layer"] for r in made])) < 90
+    for r in made:
+        tied = [c for c, w in zip(r["cosines"], r["weights"], strict=True) if round(w, 12) == min(round(v, 12) for v in r["weights"])]
+        assert r["cosines"][r["layer"] - 1] == pytest.approx(max(tied), abs=1e-11)
+
+
+def test_a_search_reads_one_cell(spark, ix):
+    """The plan prunes folders, and the files read are those of the home cell alone."""
+    again = index.load(spark, index.save(ix))
+    home = again.shelf().find(3)
+    found = search.index_search(again, 3, 5)
+    plan = found._jdf.queryExecution().toString()
+    assert "PartitionFilters" in plan and f"(layer#" in plan and f" = {home['layer']})" in plan.split("PartitionFilters")[1]
+    cell_files = again.shelf().members(home["layer"], [home["cluster"]]).select(F.input_file_name().alias("f")).distinct().collect()
+    assert cell_files and all(f"layer={home['layer']}/cluster={home['cluster']}/" in r["f"] for r in cell_files)
+    assert len(cell_files) < len(again.shelf().postings.inputFiles()) / 3
+    look = again.shelf().lookup.filter(F.col("bucket") == index.bucket_of(F.lit(3).cast("long"), again.shelf().buckets))
+    assert "bucket" in look._jdf.queryExecution().toString().split("PartitionFilters")[1][:200]
+
+
+def test_many_cells_are_joined(spark, ix, monkeypatch):
+    whole = lists(search.index_search_all(ix, 5))
+    monkeypatch.setattr(index, "SMALL_CELLS", 2)
+    from lookalike.operators import kernels
+
+    monkeypatch.setattr(kernels, "GRID_ROWS", 1)
+    assert lists(search.index_search_all(ix, 5)) == whole
+
+
+def test_numbered(spark):
+    got = relational.numbered(spark.createDataFrame([(v,) for v in "qwertyuiopasdfghjkl"], "t string").repartition(5), "t", "at").collect()
+    assert sorted((r["at"], r["t"]) for r in got) == list(enumerate(sorted("qwertyuiopasdfghjkl"), 1))
+    assert relational.numbered(spark.createDataFrame([], "t string"), "t", "at").count() == 0
 
 
 def test_colours_only_split(spark, small):

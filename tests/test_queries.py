@@ -7,8 +7,6 @@ from lookalike.plans import method_queries, operator_queries  # noqa: F401
 from lookalike.plans.registry import QUERIES, SQL
 from lookalike.sources.tables import SCHEMAS
 
-SLOW = {"audit_two_models", "finetune_sweep_select", "edge_mask_flip", "near_copy_edges", "lsh_search"}
-
 
 @pytest.fixture(scope="module")
 def duck(sf):
@@ -22,7 +20,7 @@ def text(rows, names, cols):
     return sorted(str([(float(v) if isinstance(v, float) else v) for v in (dict(zip(names, r, strict=True))[c] for c in cols)]) for r in rows)
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - SLOW))
+@pytest.mark.parametrize("name", sorted(QUERIES))
 def test_query(spark, sf, duck, name):
     got = QUERIES[name](spark, sf)
     rows = [tuple(r) for r in got.collect()]
