@@ -92,14 +92,15 @@ def drop_cut(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame) -> DataFrame:
     """``edges(a, b)`` → ``(id, component_id)``: the smallest id that each node reaches.
 
     Alternates large-star and small-star until no edge changes; each round is cut to the shared
     folder. Star centres only ever shrink, so rounds grow with the logarithm of the longest path.
     Each min is a partial aggregation, and the join back is an equi join that AQE can split, so a
     hub that a third of the rows touch is not gathered in one task. Nothing reaches the driver but
-    two sums per round. Null ends and loops are ignored; nodes without an edge do not appear.
+    a count and two digests per round, made of hashes alone, so ids of any size do. Null ends and
+    loops are ignored; nodes without an edge do not appear.
     """
     e = (
         edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b"))
@@ -108,7 +109,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     )
     e = cut(e, "cc")
     seen = None
-    for _ in range(max_rounds):
+    while True:
         both = e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(low, "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
@@ -122,20 +123,31 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
             .distinct()
         )
         nxt = cut(small, "cc")
-        n, sa, sb, xx = nxt.agg(F.count("*"), F.sum("a"), F.sum("b"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        state = (n, sa, sb, xx)
+        state = tuple(nxt.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).first())
         drop_cut(e)
         e = nxt
         if state == seen:
             break
         seen = state
-    else:
-        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return e.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("component_id")).union(
         e.select(F.col("b").alias("id"), F.col("b").alias("component_id")).distinct()
     )
 
 
+def name_components(rows: DataFrame, links: DataFrame) -> DataFrame:
+    """``rows(id, node, ...)`` with ``component_id``: the smallest id that links between nodes reach.
+
+    Rows that share an id are one thing, whatever their nodes: their nodes are linked as well. Rows
+    without an id must not be among ``rows``.
+    """
+    spread = rows.groupBy("id").agg(F.min("node").alias("first"), F.max("node").alias("last")).filter("first < last").select("id", "first")
+    same_id = rows.select("id", "node").join(spread, "id").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    found = cut(connected_components(links.select("a", "b").union(same_id)).select(F.col("id").alias("node"), F.col("component_id").alias("__c")), "components")
+    named = cut(rows.join(found, "node", "left").withColumn("__c", F.coalesce("__c", "node")), "named")
+    least = named.groupBy("__c").agg(F.min("id").alias("component_id"))
+    return named.join(least, "__c").drop("__c")
+
+
 def sorted_groups(batches, key: int = 0, least: int = 2):
     """Runs of equal keys in batches that arrive sorted by integer column ``key``, as Arrow tables.
 

@@ -42,6 +42,12 @@ def test_components(spark):
     assert got == want
 
 
+def test_components_of_large_ids(spark):
+    big = 6 * 10**18
+    df = spark.createDataFrame([(big + i, big + i + 1) for i in range(70)], "a long, b long")
+    assert {r["component_id"] for r in connected_components(df).collect()} == {big}
+
+
 def test_components_of_nothing(spark):
     assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
 
@@ -138,7 +144,7 @@ def brute_vectors(data, least):
     return {i: (deg[i], comp[i], comp[i] == i) for i in deg}
 
 
-@pytest.mark.parametrize("block", [2048, 7])
+@pytest.mark.parametrize("block", [1024, 7])
 def test_vectors_equal_brute_force(spark, monkeypatch, block):
     monkeypatch.setattr(pivot_join, "BLOCK", block)
     rng = np.random.default_rng(5)
@@ -158,19 +164,52 @@ def test_vectors_equal_brute_force(spark, monkeypatch, block):
     assert got == want
 
 
-def test_vector_recall_on_random_pairs():
-    """Pairs at the threshold share a pivot: the index misses fewer than one in two thousand."""
+@pytest.mark.parametrize("rows", [1000, 50_000, 1_000_000])
+def test_vector_recall_on_random_pairs(rows):
+    """Pairs at the threshold share two pivots, however many pivots the table's size asks for."""
     rng = np.random.default_rng(11)
-    p = pivot_join.pivots(64)
-    a = rng.standard_normal((20000, 64))
+    n, nearest = pivot_join.plan_pivots(rows)
+    p = pivot_join.pivots(64, n)
+    a = rng.standard_normal((3000, 64))
     a /= np.linalg.norm(a, axis=1, keepdims=True)
     b = rng.standard_normal(a.shape)
     b -= (a * b).sum(1, keepdims=True) * a
     b /= np.linalg.norm(b, axis=1, keepdims=True)
     b = 0.98 * a + np.sqrt(1 - 0.98**2) * b
-    da, db = (pivot_join.describe(x, p, pivot_join.NEAREST) for x in (a, b))
-    hit = (da[:, :, None] == db[:, None, :]).any((1, 2))
-    assert hit.mean() > 0.9995
+    da, db = (np.concatenate([pivot_join.describe(x[i : i + 200], p, nearest) for i in range(0, 3000, 200)]) for x in (a, b))
+    hit = (da[:, :, None] == db[:, None, :]).sum((1, 2)) >= pivot_join.SHARED
+    assert hit.mean() >= 0.999
+
+
+def test_vector_recall_on_the_table():
+    """Each vector of the given table and one at the threshold from it are candidates; few unlike pairs are looked at."""
+    import pyarrow.parquet as pq
+
+    t = pq.read_table("/root/testdata/sf0.1/embeddings.parquet")
+    x, labels = np.array(t["embedding"].to_pylist(), np.float64), np.array(t["label"].to_pylist())
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    b = np.random.default_rng(3).standard_normal(x.shape)
+    b -= (x * b).sum(1, keepdims=True) * x
+    y = 0.98 * x + np.sqrt(1 - 0.98**2) * b / np.linalg.norm(b, axis=1, keepdims=True)
+    n, nearest = pivot_join.plan_pivots(int(np.bincount(labels).max()))
+    p = pivot_join.pivots(64, n)
+    mark = np.zeros((2, len(x), n), np.float32)
+    for m, v in zip(mark, (x, y), strict=True):
+        np.put_along_axis(m, pivot_join.describe(v, p, nearest), 1, axis=1)
+    assert ((mark[0] * mark[1]).sum(1) >= pivot_join.SHARED).mean() >= 0.999
+    same = (labels[:, None] == labels[None, :]) & ~np.eye(len(x), dtype=bool)
+    assert (mark[0] @ mark[0].T >= pivot_join.SHARED)[same].mean() < 0.06
+
+
+def test_repeated_and_large_ids(spark):
+    """An id with two vectors is one thing with two rows; ids near 2**63 do not overflow."""
+    big = 6 * 10**18
+    v, w, u = [1.0, 0.0, 0.0], [0.0, 1.0, 0.0], [0.0, 0.0, 1.0]
+    near = lambda x: [a + 0.01 for a in x]
+    data = [(1, v, 0), (1, w, 0), (2, near(v), 0), (3, near(w), 0), (4, u, 0), (4, None, 0), (4, u, 0), (big + 1, v, 1), (big + 2, near(v), 1), (big + 3, [1.0, 0.02, 0.0], 1), (None, v, 0)]
+    got = sorted(pivot_join.near_duplicates(spark.createDataFrame(data, "vec_id long, embedding array<double>, label int")).collect(), key=str)
+    want = [(1, 1, 1, True), (1, 1, 1, True), (2, 1, 1, False), (3, 1, 1, False), (4, 1, 4, True), (4, 0, 4, True), (4, 1, 4, True), (big + 1, 2, big + 1, True), (big + 2, 2, big + 1, False), (big + 3, 2, big + 1, False), (None, 0, None, False)]
+    assert sorted(map(str, map(tuple, got))) == sorted(map(str, want))
 
 
 def test_vectors_of_nothing(spark):
