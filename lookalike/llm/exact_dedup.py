@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import spare
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 
@@ -55,11 +57,21 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min") -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns; rows with a null id and a text of their own stay too."""
-    groups = text_groups(docs, id_col, text_col, keep)
-    ids = groups.filter("keep_id is not null").select(F.col("keep_id").alias("__keep"))
-    kept = docs.join(ids, docs[id_col] == ids["__keep"], "left_semi")
-    no_id = groups.filter("keep_id is null").select(F.col("h128").alias("__h"))
-    orphan = docs.filter(F.col(id_col).isNull())
-    orphan = orphan.join(no_id, content_key(fold_ascii(F.coalesce(orphan[text_col], F.lit("")))) == no_id["__h"], "left_semi")
-    return kept.unionByName(orphan)
+    """The rows of ``docs`` that stay, with all their columns: one of each set of equal texts.
+
+    The row with the smallest (``max``: largest) id stays. Rows count by themselves: where an id
+    repeats with different texts, each row stays or goes by its own text; where id and text
+    repeat, one row stays, any one. Texts of rows without an id stay once if no row with an id has them.
+    """
+    key, norm = spare(docs.columns, "h128"), spare(docs.columns, "norm")
+    groups = text_groups(docs, id_col, text_col, keep).select(F.col("h128").alias("__h"), F.col("keep_id").alias("__keep"))
+    folded = fold_ascii(F.coalesce(F.col(text_col), F.lit("")))
+    rows = docs.withColumn(key, content_key(folded))
+    first = rows.join(groups.filter("__keep is not null"), (F.col(id_col) == F.col("__keep")) & (F.col(key) == F.col("__h")), "left_semi")
+    # ids that repeat are few or none, and only their rows are shuffled again
+    again = docs.groupBy(F.col(id_col).alias("__again")).agg(F.count("*").alias("n")).filter("n > 1 and __again is not null").select("__again")
+    once = first.join(again, F.col(id_col) == F.col("__again"), "left_anti").drop(key)
+    more = first.join(again, F.col(id_col) == F.col("__again"), "left_semi").dropDuplicates([id_col, key]).drop(key)
+    nameless = rows.filter(F.col(id_col).isNull()).join(groups.filter("__keep is null"), F.col(key) == F.col("__h"), "left_semi")
+    nameless = nameless.withColumn(norm, folded).dropDuplicates([key, norm]).drop(key, norm)
+    return once.unionByName(more).unionByName(nameless)

@@ -28,6 +28,8 @@ PIVOTS, PIVOT_ROWS = 256, 1000
 NEAREST, SHARED = 8, 2
 #: Rows of a block of an inverted list; a longer list becomes one task's group per pair of blocks.
 BLOCK = 1024
+#: Lists up to this many have their sizes broadcast.
+SMALL_COUNTS = 200_000
 
 
 def pivots(dim: int, n: int = PIVOTS) -> np.ndarray:
@@ -196,7 +198,9 @@ FOUND = T.StructType([T.StructField("node", T.LongType()), T.StructField("links"
 def verified(listed: DataFrame, similarity: float, shared: int) -> DataFrame:
     """``node, links, centre``: per inverted list, how many vectors each one links with there, and a star edge that keeps it connected."""
     posted = listed.withColumn("pivot", F.explode("perm"))
-    counts = posted.groupBy("label", "dim", "pivot").agg(F.count("*").alias("members")).filter("members > 1")
+    counts = cut(posted.groupBy("label", "dim", "pivot").agg(F.count("*").alias("members")).filter("members > 1"), "counts")
+    if counts.limit(SMALL_COUNTS + 1).count() <= SMALL_COUNTS:  # a row per list, not per vector
+        counts = F.broadcast(counts)
     nb = F.ceil(F.col("members") / BLOCK).cast("int")
     rows = posted.join(counts, ["label", "dim", "pivot"]).withColumn("nb", nb).withColumn("own", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))

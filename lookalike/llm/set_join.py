@@ -6,7 +6,10 @@ with more than ``leaf`` documents on two more, chosen by the node itself, if tha
 s meet under one coordinate with probability s, so independent trees reach any recall. Leaves are
 searched exhaustively on sketches, which yields candidate groups; inside a group every link is
 then confirmed on the full sets. Both searches walk breadth first: what is already known to be
-connected is not compared again, so a group of near copies costs a pass, not a square.
+connected is not compared again, so a group of near copies costs a pass, not a square. A group of
+many rows is dealt to blocks of rows: each block first searches itself beside a few members that
+all blocks get, then only rows that this has not yet joined to the group's largest part meet the
+others, block by block.
 """
 
 from __future__ import annotations
@@ -22,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import connected_components, cut, ship, sorted_groups
+from .common import connected_components, cut, name_components, ship, sorted_groups
 
 WIDTH = 5
 #: Coordinates of a sketch, 16 bits each.
@@ -31,8 +34,8 @@ COORDS = 128
 TREES = 6
 #: Documents of a node that are searched exhaustively; larger nodes branch again, to this depth.
 LEAF, DEPTH = 512, 3
-#: Rows of one block where a node is still large, and shingles of one block of a candidate group.
-BLOCK_ROWS, BLOCK_SHINGLES = 4096, 2_000_000
+#: Rows of one block of a node or group, and members of a large one that every block gets.
+BLOCK_ROWS, HUBS = 512, 4
 #: Standard deviations of the estimate by which a candidate may fall short of the threshold.
 SLACK = 4.5
 #: Words that a worker remembers the hashes of.
@@ -102,23 +105,30 @@ def sketch(s: np.ndarray) -> np.ndarray:
     return ((low ^ (low >> np.uint32(16))) & np.uint32(0xFFFF)).astype(np.uint16)
 
 
-SKETCH = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n", T.LongType()), T.StructField("digest", T.BinaryType()), T.StructField("sketch", T.BinaryType())])
+SKETCH = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n", T.LongType()), T.StructField("digest", T.BinaryType()), T.StructField("text_md5", T.BinaryType()), T.StructField("sketch", T.BinaryType())])
+
+
+def set_digest(s: np.ndarray) -> bytes:
+    """128 bits that name a shingle set."""
+    return hashlib.blake2b(s, digest_size=16).digest()
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
-    """``doc_id, n, digest, sketch``: set size, 128-bit digest of the set, minwise sketch."""
+    """``doc_id, n, digest, text_md5, sketch``: set size, 128-bit digests of the set and of the text, minwise sketch."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 part = b.slice(at, 512)
-                sets = [shingle_set(t.as_py(), width) for t in part.column(1)]
+                texts = [t.as_py() or "" for t in part.column(1)]
+                sets = [shingle_set(t, width) for t in texts]
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column(0),
                         pa.array([len(s) for s in sets], pa.int64()),
-                        pa.array([hashlib.blake2b(s, digest_size=16).digest() for s in sets], pa.binary()),
+                        pa.array(map(set_digest, sets), pa.binary()),
+                        pa.array([hashlib.md5(t.encode()).digest() for t in texts], pa.binary()),
                         pa.array([sketch(s).tobytes() for s in sets], pa.binary()),
                     ],
                     names=SKETCH.names,
@@ -149,6 +159,21 @@ def _components(n: int, near) -> np.ndarray:
     return root
 
 
+def _bridges(comp: np.ndarray, left: np.ndarray, right: np.ndarray, near) -> list[tuple[int, int]]:
+    """Edges between rows of different ``comp``, from ``left`` to ``right``, one for each pair of parts that they join."""
+    part, out = comp.copy(), []
+    for i in left.tolist():
+        rest = right[part[right] != part[i]]
+        if not len(rest):
+            continue
+        hits = rest[near(i, rest)]
+        for j in hits.tolist():
+            if part[j] != part[i]:
+                out.append((i, j))
+                part[part == part[j]] = part[i]
+    return out
+
+
 EDGES = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())])
 
 
@@ -164,13 +189,74 @@ def _edges_of(ids: np.ndarray, root: np.ndarray) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array(centre[keep]), pa.array(i[keep])], names=EDGES.names)
 
 
+def search_groups(rows: DataFrame, key: str, make_near) -> DataFrame:
+    """Edges ``a, b`` that connect all rows of a group which the predicate links; ``rows`` has ``key``, ``rid`` and payload.
+
+    ``make_near(table)`` builds ``near(i, rest)`` over an Arrow table of payload columns. Groups up
+    to ``BLOCK_ROWS`` are one task's; a larger one is dealt to blocks by hash. In the first pass a
+    block also gets the group's hubs, the ``HUBS`` rows with the smallest hashes. In the second,
+    rows outside the group's largest part so far meet each other and that part, in pairs of blocks;
+    parts that the first pass joined are not compared again. No link is lost: two linked rows lie in
+    one part after the first pass, or meet in the second.
+    """
+    payload = [c for c in rows.columns if c not in (key, "rid")]
+    order = [F.min(F.struct(F.xxhash64("rid", F.lit(h)), "rid"))["rid"] for h in range(HUBS)]
+    sized = cut(rows.groupBy(key).agg(F.count("*").alias("members"), F.array(*order).alias("hubs")).filter("members > 1"), "groups")
+    nb = F.ceil(F.col("members") / BLOCK_ROWS).cast("int")
+    r = rows.join(sized, key).withColumn("nb", nb).withColumn("own", F.pmod(F.xxhash64("rid", F.lit(5)), F.col("nb")).cast("int"))
+    where = F.when((F.col("nb") > 1) & F.array_contains("hubs", F.col("rid")), F.sequence(F.lit(0), F.col("nb") - 1)).otherwise(F.array("own"))
+    r = r.select(key, F.explode(where).alias("block"), "rid", *payload).select(F.xxhash64(key, "block").alias("grp"), "rid", *payload)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in sorted_groups(batches):
+            if (e := _edges_of(t.column(1).to_numpy(), _components(t.num_rows, make_near(t.select(payload))))) is not None:
+                yield e
+
+    edges = cut(r.repartition("grp").sortWithinPartitions("grp").mapInArrow(first, EDGES).distinct(), "edges")
+    big = sized.filter(F.col("members") > BLOCK_ROWS).select(key)
+    if big.isEmpty():
+        return edges
+    part = connected_components(edges).select(F.col("id").alias("__i"), F.col("component_id").alias("part"))
+    ids = rows.select(key, "rid").join(big, key, "left_semi").join(part, F.col("rid") == F.col("__i"), "left").select(key, "rid", F.coalesce("part", "rid").alias("part"))
+    ids = cut(ids, "parts")
+    sizes = ids.groupBy(key, "part").agg(F.count("*").alias("n"))
+    about = sizes.groupBy(key).agg(F.max_by("part", F.struct("n", "part")).alias("main"), F.sum("n").alias("all"), F.max("n").alias("most")).filter("most < all")
+    about = about.select(key, "main", F.ceil(F.col("most") / BLOCK_ROWS).cast("int").alias("ng"), F.ceil((F.col("all") - F.col("most")) / BLOCK_ROWS).cast("int").alias("nl"))
+    if about.isEmpty():
+        return edges
+    # of the rows outside the main part the blocks meet each other and, block by block, the main part
+    m = ids.join(about, key).withColumn("outer", F.col("part") != F.col("main"))
+    own = F.pmod(F.xxhash64("rid", F.lit(7)), F.when(F.col("outer"), F.col("nl")).otherwise(F.col("ng"))).cast("int")
+    m = m.withColumn("own", own)
+    each = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    among = F.transform(each("nl"), lambda o: F.xxhash64(F.col(key), F.lit(1), F.least(o, F.col("own")), F.greatest(o, F.col("own"))))
+    to_main = F.transform(each("ng"), lambda o: F.xxhash64(F.col(key), F.lit(2), F.col("own"), o))
+    to_outer = F.transform(each("nl"), lambda o: F.xxhash64(F.col(key), F.lit(2), o, F.col("own")))
+    kind = F.when(F.col("outer"), F.concat(F.transform(among, lambda g: F.struct(g.alias("grp"), F.lit(1).alias("kind"))), F.transform(to_main, lambda g: F.struct(g.alias("grp"), F.lit(2).alias("kind"))))).otherwise(F.transform(to_outer, lambda g: F.struct(g.alias("grp"), F.lit(2).alias("kind"))))
+    m = m.select(F.col(key).alias("__k"), F.col("rid").alias("__r"), "part", "outer", F.explode(kind).alias("__g"))
+    r = rows.join(m, (F.col(key) == F.col("__k")) & (F.col("rid") == F.col("__r"))).select("__g.grp", "__g.kind", "rid", "part", "outer", *payload)
+
+    def second(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in sorted_groups(batches):
+            kinds, ids, parts, outer = (t.column(i).to_numpy() for i in (1, 2, 3, 4))
+            left = np.flatnonzero(outer)
+            right = left if kinds[0] == 1 else np.flatnonzero(~outer)
+            if len(left) and len(right):
+                found = _bridges(parts, left, right, make_near(t.select(payload)))
+                if found:
+                    i, j = np.array(found).T
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(ids[j])], names=EDGES.names)
+
+    return edges.union(cut(r.repartition("grp").sortWithinPartitions("grp").mapInArrow(second, EDGES), "bridges"))
+
+
 def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf: int = LEAF, depth: int = DEPTH) -> DataFrame:
-    """Edges that connect what the trees hold similar by its sketch; ``reps`` has ``doc_id, n, sketch``."""
+    """Edges that connect what the trees hold similar by its sketch; ``reps`` has ``rid, n, sketch``."""
     spark = reps.sparkSession
     least = max(1, math.floor(COORDS * (similarity - SLACK * math.sqrt(similarity * (1 - similarity) / COORDS))))
 
     roots = F.explode(F.array(*[F.xxhash64(F.lit(t), _token(F.lit(t))) for t in range(trees)]))
-    level, leaves = reps.select(roots.alias("node"), "doc_id", "n", "sketch"), []
+    level, leaves = reps.select(roots.alias("node"), "rid", "n", "sketch"), []
     coords = [F.pmod(F.xxhash64("node", F.lit(b)), F.lit(COORDS)).cast("int") for b in (1, 2)]
     for d in range(depth + 1):
         sized = cut(level.groupBy("node").agg(F.count("*").alias("members")).filter("members > 1"), "nodes")
@@ -186,82 +272,85 @@ def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf
         if split.isEmpty():
             break
         branches = F.array(*[F.xxhash64("node", F.lit(b), _token(c)) for b, c in zip((1, 2), coords, strict=True)])
-        level = cut(level.join(split, "node").select(F.explode(branches).alias("node"), "doc_id", "n", "sketch"), "level")
+        level = cut(level.join(split, "node").select(F.explode(branches).alias("node"), "rid", "n", "sketch"), "level")
     found = leaves[0]
     for more in leaves[1:]:
         found = found.union(more)
-    dealt = _blocks(found, "node", F.ceil(F.col("members") / BLOCK_ROWS), ["doc_id", "n", "sketch"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in sorted_groups(batches):
-            ids, n = (t.column(i).to_numpy() for i in (1, 2))
-            sk = np.frombuffer(b"".join(t.column(3).to_pylist()), np.uint16).reshape(-1, COORDS)
-
-            def near(i, rest, n=n, sk=sk):
-                a, b = np.minimum(n[rest], n[i]), np.maximum(n[rest], n[i])
-                hit = a >= similarity * b - 1e-9
-                at = np.flatnonzero(hit)
-                hit[at] = (sk[rest[at]] == sk[i]).sum(1) >= least
-                return hit
 
-            if (e := _edges_of(ids, _components(len(ids), near))) is not None:
-                yield e
+    def make_near(t: pa.Table):
+        n = t.column("n").to_numpy()
+        sk = np.frombuffer(b"".join(t.column("sketch").to_pylist()), np.uint16).reshape(-1, COORDS)
 
-    return dealt.mapInArrow(run, EDGES).distinct()
+        def near(i, rest):
+            a, b = np.minimum(n[rest], n[i]), np.maximum(n[rest], n[i])
+            hit = a >= similarity * b - 1e-9
+            at = np.flatnonzero(hit)
+            hit[at] = (sk[rest[at]] == sk[i]).sum(1) >= least
+            return hit
 
+        return near
 
-def _blocks(rows: DataFrame, key: str, blocks, cols: list[str]) -> DataFrame:
-    """Rows in tasks' order of groups. A group of several blocks becomes one group per pair of blocks."""
-    nb = blocks.cast("int")
-    own = F.pmod(F.xxhash64("doc_id", F.lit(5)), F.col("nb")).cast("int")
-    r = rows.withColumn("nb", F.greatest(nb, F.lit(1))).withColumn("own", own)
-    pair = F.transform(F.sequence(F.lit(0), F.col("nb") - 1), lambda o: F.xxhash64(F.col(key), F.least(o, F.col("own")), F.greatest(o, F.col("own"))))
-    single = F.array(F.xxhash64(F.col(key), F.lit(0), F.lit(0)))
-    r = r.select(F.explode(F.when(F.col("nb") > 1, pair).otherwise(single)).alias("grp"), *cols)
-    return r.repartition("grp").sortWithinPartitions("grp")
+    return search_groups(found.select("node", "rid", "n", "sketch"), "node", make_near)
 
 
 def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_col: str, text_col: str, width: int) -> DataFrame:
     """Edges inside candidate groups, each confirmed on the full shingle sets.
 
-    ``members`` has ``doc_id, group_id, n``. Texts of members alone go to their group; a group of
-    more than ``BLOCK_SHINGLES`` shingles is split into blocks, and every pair of blocks is searched.
+    ``members`` has ``rid, doc_id, digest, group_id``; texts of members alone travel. Rows that repeat an id
+    are told apart by the digest of their set: a text that is not the member's has no set here.
     """
     percent = round(similarity * 100)
-    weight = members.groupBy("group_id").agg(F.sum("n").alias("weight"))
-    m = members.join(weight, "group_id").select(F.col("doc_id").alias("__id"), "group_id", "weight")
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    rows = rows.join(m, F.col("doc_id") == F.col("__id"))
-    dealt = _blocks(rows, "group_id", F.ceil(F.col("weight") / BLOCK_SHINGLES), ["doc_id", "text"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in sorted_groups(batches):
-            ids = t.column(1).to_numpy()
-            sets = [shingle_set(x.as_py(), width) for x in t.column(2)]
-            n = np.array([len(s) for s in sets], np.int64)
-            flat = np.concatenate(sets)
-            lo = np.concatenate(([0], np.cumsum(n)))
-
-            def near(i, rest, n=n, flat=flat, lo=lo, sets=sets):
-                mine = sets[i]
-                hit = (np.minimum(n[rest], n[i]) * 100 >= percent * np.maximum(n[rest], n[i])) & (n[rest] > 0)
-                at = np.flatnonzero(hit)
-                if not len(at):
-                    return hit
-                if len(at) < len(n) // 2:
-                    shared = np.array([len(np.intersect1d(mine, sets[j], assume_unique=True)) for j in rest[at]], np.int64)
-                else:
-                    place = np.searchsorted(mine, flat)
-                    same = mine[np.minimum(place, len(mine) - 1)] == flat
-                    total = np.concatenate(([0], np.cumsum(same)))
-                    shared = (total[lo[1:]] - total[lo[:-1]])[rest[at]]
-                hit[at] = 100 * shared >= percent * (n[rest[at]] + n[i] - shared)
+    m = members.select(F.col("doc_id").alias("__id"), "rid", "digest", "group_id")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).join(m, F.col("doc_id") == F.col("__id"))
+    none = np.zeros(0, np.uint64)
+
+    def make_near(t: pa.Table):
+        sets = [shingle_set(x.as_py(), width) for x in t.column("text")]
+        sets = [s if set_digest(s) == d.as_py() else none for s, d in zip(sets, t.column("digest"), strict=True)]
+        n = np.array([len(s) for s in sets], np.int64)
+        flat = np.concatenate(sets)
+        lo = np.concatenate(([0], np.cumsum(n)))
+
+        def near(i, rest):
+            mine = sets[i]
+            if not len(mine):
+                return np.zeros(len(rest), bool)
+            hit = (np.minimum(n[rest], n[i]) * 100 >= percent * np.maximum(n[rest], n[i])) & (n[rest] > 0)
+            at = np.flatnonzero(hit)
+            if not len(at):
                 return hit
+            if len(at) < len(n) // 2:
+                shared = np.array([len(np.intersect1d(mine, sets[j], assume_unique=True)) for j in rest[at]], np.int64)
+            else:
+                place = np.searchsorted(mine, flat)
+                same = mine[np.minimum(place, len(mine) - 1)] == flat
+                total = np.concatenate(([0], np.cumsum(same)))
+                shared = (total[lo[1:]] - total[lo[:-1]])[rest[at]]
+            hit[at] = 100 * shared >= percent * (n[rest[at]] + n[i] - shared)
+            return hit
 
-            if (e := _edges_of(ids, _components(len(ids), near))) is not None:
-                yield e
+        return near
 
-    return dealt.mapInArrow(run, EDGES)
+    return search_groups(rows.select("group_id", "rid", "text", "digest"), "group_id", make_near)
+
+
+def row_classes(docs: DataFrame, id_col: str, text_col: str, similarity: float, width: int, trees: int) -> tuple[DataFrame, DataFrame]:
+    """Rows ``id, n, text_md5, node`` and links ``a, b`` between nodes.
+
+    A node stands for all rows of one shingle set, and is the number of one of them; a row with the
+    empty set, or without an id, is a node of its own.
+    """
+    sk = cut(sketches(docs, id_col, text_col, width).withColumn("rid", F.monotonically_increasing_id()), "sketches")
+    named = sk.filter("doc_id is not null and n > 0")
+    classes = cut(named.groupBy("digest").agg(F.min("rid").alias("node")), "classes")
+    reps = named.join(classes.select("node"), F.col("rid") == F.col("node"), "left_semi").select("rid", "doc_id", "n", "digest", "sketch")
+    groups = cut(connected_components(candidate_edges(reps.select("rid", "n", "sketch"), similarity, trees)), "groups")
+    members = groups.select(F.col("id").alias("rid"), F.col("component_id").alias("group_id")).join(reps.select("rid", "doc_id", "digest"), "rid")
+    links = cut(confirmed_edges(docs, members, similarity, id_col, text_col, width), "links")
+    rows = sk.select(F.col("doc_id").alias("id"), "n", "digest", "text_md5", "rid")
+    known = rows.join(classes.withColumnRenamed("node", "__n"), "digest", "left")
+    node = F.when((F.col("n") > 0) & F.col("id").isNotNull(), F.col("__n")).otherwise(F.col("rid"))
+    return known.select("id", "n", "text_md5", node.alias("node")), links
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.85, width: int = WIDTH, trees: int = TREES) -> DataFrame:
@@ -270,20 +359,32 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Documents are linked when their distinct shingles overlap by at least ``similarity`` of the
     union (in whole percent); ``component_id`` is the smallest id that links reach and the row
     with that id is kept. Null text and text without words have the empty set and no link. A row
-    with a null id takes part in no link, has a null component and is kept; rows that repeat an id
-    are one node. An empty table gives no rows; other columns are not read.
+    with a null id takes part in no link, has a null component and is kept. Rows that repeat an id
+    are one document, whatever their texts: they share the component that any of them reaches. An
+    empty table gives no rows; other columns are not read.
     """
-    sk = cut(sketches(docs, id_col, text_col, width), "sketches")
-    named = sk.filter("doc_id is not null and n > 0")
-    classes = cut(named.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "classes")
-    reps = named.join(classes.select("rep", F.col("digest").alias("__d")), (F.col("doc_id") == F.col("rep")) & (F.col("digest") == F.col("__d")), "left_semi").select("doc_id", "n", "sketch")
-    groups = cut(connected_components(candidate_edges(reps, similarity, trees)), "groups")
-    members = groups.select(F.col("id").alias("doc_id"), F.col("component_id").alias("group_id")).join(reps.select("doc_id", "n"), "doc_id")
-    links = cut(confirmed_edges(docs, members, similarity, id_col, text_col, width), "links")
-    linked = connected_components(links)
-    byclass = classes.join(linked.withColumnRenamed("id", "rep"), "rep", "left").select("digest", F.coalesce("component_id", "rep").alias("component_id"))
-    out = sk.join(byclass, "digest", "left")
-    component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id"))
-    return out.select(F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn(
+    rows, links = row_classes(docs, id_col, text_col, similarity, width, trees)
+    rows = cut(rows, "rows")
+    named = name_components(rows.filter("id is not null").select("id", "node", "n"), links).select("id", "n", "component_id")
+    nameless = rows.filter("id is null").select("id", "n", F.lit(None).cast("long").alias("component_id"))
+    return named.union(nameless).select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), "component_id").withColumn(
         "kept", F.coalesce(F.col(id_col) == F.col("component_id"), F.lit(True))
     )
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, width: int = WIDTH, trees: int = TREES) -> DataFrame:
+    """``docs`` without near copies: of each group of linked rows the one with the smallest id stays, with all its columns.
+
+    Rows count by themselves here: one that repeats an id with another text stays or goes by its own
+    text alone. Rows that repeat both id and text are one. Rows with a null id, and those
+    without words, stay.
+    """
+    rows, links = row_classes(docs, id_col, text_col, similarity, width, trees)
+    rows = cut(rows.filter("id is not null and n > 0"), "rows")
+    found = connected_components(links).select(F.col("id").alias("node"), F.col("component_id").alias("__c"))
+    rows = rows.join(found, "node", "left").withColumn("__c", F.coalesce("__c", "node"))
+    first = rows.groupBy("__c").agg(F.min(F.struct("id", "text_md5")).alias("first"))
+    gone = rows.join(first, "__c").filter(F.struct("id", "text_md5") != F.col("first")).select(F.col("id").alias("__gone"), F.col("text_md5").alias("__md5"))
+    gone = cut(gone.distinct(), "gone")
+    here = F.unhex(F.md5(F.coalesce(docs[text_col].cast("string"), F.lit(""))))
+    return docs.join(gone, (docs[id_col].cast("long") == gone["__gone"]) & (here == gone["__md5"]), "left_anti")

@@ -111,7 +111,6 @@ def test_near_duplicates_equal_brute_force(spark):
 def test_large_nodes_and_blocks(spark, monkeypatch):
     """Small leaves and blocks force branching and pairs of blocks."""
     monkeypatch.setattr(set_join, "BLOCK_ROWS", 8)
-    monkeypatch.setattr(set_join, "BLOCK_SHINGLES", 500)
     docs = planted(7, 12)
     base = docs[0][1].split() if docs[0][1] else []
     base = (base + [f"x{i}" for i in range(200)])[:200]
@@ -121,6 +120,53 @@ def test_large_nodes_and_blocks(spark, monkeypatch):
     assert got == brute_near(docs, 85)
 
 
+def test_large_groups_meet_block_by_block(spark, monkeypatch):
+    """A chain of texts, each like the next alone, in one group: hubs reach few, so the second pass must find the rest."""
+    monkeypatch.setattr(set_join, "BLOCK_ROWS", 5)
+    monkeypatch.setattr(set_join, "HUBS", 1)
+    words = [f"w{i}" for i in range(400)]
+    chain = [(i, " ".join(words[i : i + 80])) for i in range(0, 120)]
+    chain += [(500 + i, " ".join(words[7 * i : 7 * i + 80])) for i in range(20)]
+    df = spark.createDataFrame(chain, "doc_id long, text string")
+    got = rows(set_join.near_duplicates(df, similarity=0.97), "doc_id", "n_shingles", "component_id", "kept")
+    assert got == brute_near(chain, 97)
+
+
+def test_search_groups_equals_brute_force(spark, monkeypatch):
+    """Any predicate, any group sizes: the same components as all pairs give."""
+    monkeypatch.setattr(set_join, "BLOCK_ROWS", 4)
+    rng = random.Random(6)
+    data = [(g, g * 1000 + i, rng.randrange(200)) for g, n in ((1, 90), (2, 4), (3, 33), (4, 1)) for i in range(n)]
+
+    def make_near(t):
+        v = t.column("v").to_numpy()
+        return lambda i, rest: np.abs(v[rest] - v[i]) <= 1
+
+    df = spark.createDataFrame(data, "g long, rid long, v long")
+    got = {r["id"]: r["component_id"] for r in connected_components(set_join.search_groups(df, "g", make_near)).collect()}
+    want = components([r for _, r, _ in data], [(a, b) for (g, a, v), (h, b, w) in itertools.combinations(data, 2) if g == h and abs(v - w) <= 1])
+    assert {i: got.get(i, i) for i in want} == want
+
+
+def test_repeated_and_large_ids_of_texts(spark):
+    big, a, b = 6 * 10**18, "p q r s t u v", "a b c d e f g"
+    data = [(5, a), (5, b), (3, a), (9, b), (big + 1, "x y"), (big + 2, "x y"), (big + 3, "X Y"), (7, None), (7, "one two three"), (8, "one two three")]
+    df = spark.createDataFrame([(*d, 1, "z") for d in data], "doc_id long, text string, n long, digest string")
+    got = {(r["doc_id"], r["component_id"], r["kept"]) for r in set_join.near_duplicates(df).collect()}
+    assert got == {(5, 3, False), (3, 3, True), (9, 3, False), (big + 1, big + 1, True), (big + 2, big + 1, False), (big + 3, big + 1, False), (7, 7, True), (8, 7, False)}
+    kept = set_join.keep_one(df)
+    assert kept.columns == df.columns
+    assert sorted((r["doc_id"], r["text"] or "") for r in kept.collect()) == sorted([(3, a), (5, b), (big + 1, "x y"), (7, ""), (7, "one two three")])
+
+
+def test_exact_dedup_of_repeated_ids(spark):
+    df = spark.createDataFrame([(1, "q", 0), (1, "q", 0), (1, "B", 0), (2, "b", 0), (None, "z", 1), (None, "Z", 2), (None, "q", 3), (6 * 10**18, "z9", 0)], "doc_id long, text string, h128 long")
+    kept = exact_dedup.keep_first(df)
+    assert kept.columns == df.columns
+    assert sorted(str((r["doc_id"], r["text"].lower())) for r in kept.collect()) == sorted(map(str, [(1, "q"), (1, "b"), (None, "z"), (6 * 10**18, "z9")]))
+    assert exact_dedup.keep_first(df.limit(0)).count() == 0
+
+
 def test_near_duplicates_odd_rows(spark):
     df = spark.createDataFrame([(None, "a b c"), (1, "a b c"), (1, "a b c"), (2, None)], "doc_id long, text string")
     got = sorted(map(str, (tuple(r) for r in set_join.near_duplicates(df).collect())))
