@@ -307,6 +307,65 @@ def test_substring_dedup_finds_planted_passages(spark):
     assert got[5000]["text"] is None and got[5001]["text"] == "" and got[None]["text"] == passages[0]
 
 
+def brute_substring(data, min_words=25):
+    """Plain Python over tuples of chunk texts: which chunks lie in a passage that an earlier document has."""
+    cuts = {}
+    for k, (i, t) in enumerate(data):
+        raw, at, parts = (t or "").encode(), 0, []
+        for e in substring.boundaries(raw).tolist():
+            parts.append(raw[at:e])
+            at = e
+        cuts[k] = (i, parts)
+    where, spans = {}, {}
+    for k, (i, parts) in cuts.items():
+        for a in range(len(parts)):
+            n = 0
+            for b in range(a, len(parts)):
+                n += len(parts[b].split())
+                if n >= min_words:
+                    key = tuple(p.strip() for p in parts[a : b + 1])
+                    spans.setdefault(k, []).append((a, b, key))
+                    if i is not None:
+                        where.setdefault(key, set()).add(i)
+                    break
+    out, gone = [], []
+    for k, (i, parts) in cuts.items():
+        drop = set()
+        for a, b, key in spans.get(k, ()):
+            if i is not None and min(where[key]) < i:
+                drop |= set(range(a, b + 1))
+                gone.append((i, key))
+        text = data[k][1]
+        out.append((i, text if not drop else b"".join(p for j, p in enumerate(parts) if j not in drop).decode("utf-8", "replace")))
+    return out, gone
+
+
+def test_substring_dedup_equals_brute_force(spark):
+    """Stitched, shifted, nested and side-by-side passages, repeated ids; and all that goes lies in one earlier text."""
+    rng = random.Random(12)
+    texts = [words(rng, 120) for _ in range(30)]
+    data = list(enumerate(texts))
+    phrases = [" ".join(t.split()[k : k + 8]) for t in texts for k in (3, 40)]
+    stitched = " ".join(rng.sample(phrases, 40))
+    data += [(100, stitched), (101, f"{texts[3]} {texts[4]}"), (102, " ".join(texts[5].split()[10:80]) + " " + words(rng, 20)), (103, words(rng, 7) + " " + " ".join(texts[6].split()[20:47])), (104, texts[7].replace(" ", "\n ")), (105, "ß é 日本 " * 40), (106, "ß é 日本 " * 40)]
+    data += [(110, texts[8]), (110, words(rng, 150)), (110, texts[8]), (111, words(rng, 30) + " " + texts[9] + " " + texts[9]), (None, texts[1]), (112, None), (113, "")]
+    df = spark.createDataFrame(data, "doc_id long, text string")
+    got = [(r["doc_id"], r["text"]) for r in substring.dedup(df).collect()]
+    want, gone = brute_substring(data)
+    assert sorted(map(str, got)) == sorted(map(str, want))
+    assert (100, stitched) in got, "a text made of many documents' phrases is no copy"
+    squeezed = [(i, b" ".join((t or "").encode().split())) for i, t in data if i is not None]
+    for i, key in gone:
+        piece = b" ".join(b" ".join(key).split())
+        assert any(j < i and piece.replace(b" ", b"") in t.replace(b" ", b"") for j, t in squeezed)
+
+
+def test_substring_dedup_on_the_table(spark, sf):
+    data = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
+    got = [(r["doc_id"], r["text"]) for r in substring.dedup(spark.createDataFrame(data, "doc_id long, text string")).collect()]
+    assert sorted(map(str, got)) == sorted(map(str, brute_substring(data)[0]))
+
+
 def test_substring_dedup_empty_and_clashing_columns(spark):
     df = spark.createDataFrame([(1, "x", 5)], "doc_id long, text string, n_chunks long")
     assert substring.dedup(df).columns == ["doc_id", "text", "n_chunks", "n_duplicate", "removed_bytes"]
