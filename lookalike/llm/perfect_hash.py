@@ -37,12 +37,21 @@ _M = (1 << 64) - 1
 _ODD, _MUL = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 
 
-def slot_of(h: int, shift, buckets: int, n: int) -> int:
-    z = (h ^ (int(shift[(h >> 40) % buckets]) * _ODD & _M)) * _MUL & _M
+def bucket_of(h: int, buckets: int) -> int:
+    return (h >> 40) % buckets
+
+
+def place_of(h: int, shift: int, n: int) -> int:
+    """The slot of hash ``h`` under its bucket's displacement."""
+    z = (h ^ (shift * _ODD & _M)) * _MUL & _M
     z = (z ^ z >> 32) * _MUL & _M
     return (z >> 29) % n
 
 
+def slot_of(h: int, shift, buckets: int, n: int) -> int:
+    return place_of(h, int(shift[bucket_of(h, buckets)]), n)
+
+
 def displacements(h: np.ndarray) -> np.ndarray:
     """The displacement of each bucket for distinct 64-bit hashes ``h``."""
     n = len(h)

@@ -9,29 +9,26 @@ import numpy as np
 from .bpe import read_ranks
 
 #: Strings on which both routes must agree before the faster one is used.
-PROBE = ("", " ", "a", "It's  we'll\n\n x", "Éé ß  ñ\t12 345", "<|endoftext|>", "日本語 text ​!?", "\r\n \r\n", "a" * 300, "#$% *** 'S 'll've")
-
-
-def _library(path: str):
-    from tokenizers import Tokenizer
-
-    tk = Tokenizer.from_file(path)
-    tk.encode_special_tokens = True  # control strings in a text are ordinary text
-    return tk
+PROBE = ("", " ", "a", "It's  we'll\n\n x", "Éé ß  ñ\t12 345", "<|endoftext", "日本語 text ​!?", "\r\n \r\n", "a" * 300, "#$% *** 'S 'll've")
 
 
 class TokenIds:
-    """``encode(text)`` → numpy uint32 ids without special tokens.
+    """``encode(text)`` → numpy uint32 ids: those of the plain library with ``add_special_tokens=False``.
 
     A byte-level vocabulary whose merges are in id order is encoded by tiktoken's merge loop with
     those ids as ranks, about four times as fast as ``tokenizers``; each worker compares both on a
-    probe first, and any difference, or another kind of vocabulary, leaves ``tokenizers`` itself.
+    probe first, and any difference, or another kind of vocabulary, leaves ``tokenizers`` itself. A
+    text that holds the string of an added token (which the library reads as that token) always
+    goes to the library.
     """
 
     def __init__(self, path: str):
-        self.lib = _library(path)
+        from tokenizers import Tokenizer
+
+        self.lib = Tokenizer.from_file(path)
         self.size = self.lib.get_vocab_size()
         self.width = 2 if self.size <= 1 << 16 else 4
+        self.added = tuple(t.content for t in self.lib.get_added_tokens_decoder().values())
         self.fast = None
         try:
             import public_tokenizers
@@ -47,7 +44,7 @@ class TokenIds:
         return self.lib.encode_batch_fast([text], add_special_tokens=False)[0].ids
 
     def encode(self, text: str) -> np.ndarray:
-        ids = self.fast.encode_ordinary(text) if self.fast else self._slow(text)
+        ids = self.fast.encode_ordinary(text) if self.fast and not any(a in text for a in self.added) else self._slow(text)
         return np.array(ids, dtype="<u4")
 
 
