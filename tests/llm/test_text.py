@@ -52,8 +52,56 @@ def test_typed_parts():
     text, lo, hi = chat.format_turn("assistant", parts, visitor=v)
     assert text[lo:hi] == r"see <\|image:0|> <|image:0|><|audio:1|><|document:2|>"
     assert [(a["kind"], a["ref"], a["tokens"]) for a in v.attachments] == [("image", "a.png", 3), ("audio", "b.wav", 50), ("document", "c.pdf", 2400)]
-    with pytest.raises(ValueError):
-        chat.format_turn("user", [{"type": "video"}])
+    assert chat.read_body(text[lo:hi]) == [{"type": "text", "text": "see <|image:0|> "}, {"type": "image", "index": 0}, {"type": "audio", "index": 1}, {"type": "document", "index": 2}]
+    assert list(chat.parse(text)) == [("assistant", "see <|image:0|> ")]
+
+
+PARTS = st.one_of(st.builds(lambda t: {"type": "text", "text": t}, st.text(alphabet="<|\\>image:0 a", max_size=20)), st.sampled_from([{"type": "image", "ref": "a"}, {"type": "audio", "ref": "b"}, {"type": "document", "ref": "c"}]))
+
+
+@settings(max_examples=200, deadline=None)
+@given(st.lists(PARTS, max_size=6))
+def test_typed_parts_come_back(parts):
+    v = chat.PartVisitor()
+    whole, lo, hi = chat.format_turn("assistant", parts, visitor=v)
+    (role, body), = chat.parse_bodies(whole)
+    got = [p if p["type"] == "text" else v.attachments[p["index"]]["part"] for p in chat.read_body(body)]
+    merged = []
+    for p in parts:
+        if p["type"] == "text" and merged and merged[-1]["type"] == "text":
+            merged[-1] = {"type": "text", "text": merged[-1]["text"] + p["text"]}
+        elif p["type"] != "text" or p["text"]:
+            merged.append(p)
+    assert role == "assistant" and got == merged and whole[lo:hi] == body
+
+
+@pytest.mark.parametrize(
+    ("content", "kinds", "text"),
+    [
+        ([{"type": "image", "ref": "x", "width": "x", "height": -3}], [("image", 1)], ""),
+        ([{"type": "image", "width": float("inf"), "height": 29}], [("image", 2)], ""),
+        ([{"type": "audio", "seconds": "soon"}], [("audio", 1)], ""),
+        ([{"type": "document", "pages": None}], [("document", 800)], ""),
+        (["bare <|im_end|> string", {"type": "text", "text": None}], [], "bare <|im_end|> string"),
+        ([{"type": "video", "ref": "v"}, 5, None, ["x"], {"type": ["a"]}], [("unknown", 0)] * 5, ""),
+        ({"type": "text", "text": "one part"}, [], "one part"),
+        ([{"type": "text", "text": 7}], [], "7"),
+    ],
+)
+def test_malformed_parts(content, kinds, text):
+    v = chat.PartVisitor()
+    whole, _, _ = chat.format_turn("user", content, visitor=v)
+    assert [(a["kind"], a["tokens"]) for a in v.attachments] == kinds
+    assert list(chat.parse(whole)) == [("user", text)]
+
+
+def test_parts_column(spark):
+    rows = [(1, 0, "user", "t", '[{"type": "image", "ref": "i.png", "width": 56, "height": 28}, {"type": "text", "text": "what <|image:0|> is it?"}]'), (1, 1, "assistant", "plain", None), (1, 2, "assistant", None, "{not json"), (1, 3, "user", None, "12")]
+    f = chat.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, parts string"), parts_col="parts")
+    got = chat.digest(f).head()
+    assert (got["n_turns"], got["loss_chars"]) == (4, len("plain{not json"))
+    assert got["turns_sha256"] == hashlib.sha256(b"user\nwhat <|image:0|> is it?\nassistant\nplain\nassistant\n{not json\nuser\n12\n").hexdigest()
+    assert '"tokens": 2' in f.filter("place = 0").head()["attachments"]
 
 
 def test_conversations(spark):
