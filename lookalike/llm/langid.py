@@ -1,11 +1,10 @@
 """Language ID by compression: the language whose dictionary makes a text smallest.
 
 Each language gets a zstandard raw-content dictionary of its own training texts. Letters are
-lower-cased and all else becomes one space. A text is cut into blocks (a dictionary helps most
-before a text's own history takes over), every block of the whole text is encoded against every
-dictionary, and the sizes are summed. Short texts and narrow results get a second look: the
-distinct words follow carriers that the dictionary knows, so that the encoder's fixed costs, under
-which a few words vanish, are paid by the carriers and taken off.
+lower-cased and all else becomes one space. A text is cut into blocks, every block of the whole
+text is encoded against every dictionary behind a few short carriers that the dictionary knows,
+and the sizes, less the carriers' own, are summed. The carriers pay the encoder's fixed costs and
+average out whole bytes, so one rule serves texts of three words and of a million.
 """
 
 from __future__ import annotations
@@ -22,16 +21,14 @@ from pyspark.sql import types as T
 
 from .common import ship
 
-#: Bounds of the fitted model: training texts per language and bytes of each dictionary.
+#: Bounds of the fitted model: training texts per language, bytes of each dictionary, bytes of all of them.
 SAMPLE_PER_LANG = 400
-DICT_BYTES = 112 * 1024
-BLOCK_BYTES = 512
-LEVEL = 9
+DICT_BYTES, MODEL_BYTES = 112 * 1024, 32 * 1024 * 1024
+BLOCK_BYTES = 2048
+LEVEL = 5
 #: A text is rejected when the runner-up is within this share of the best size, or ties with it.
 MIN_MARGIN = 0.002
-#: Texts of fewer normalised bytes, or with a smaller margin, get the second look.
-SHORT_BYTES, LOOK_AGAIN = 128, 0.01
-CARRIERS, CARRIER_BYTES = 4, 160
+CARRIERS, CARRIER_BYTES = 4, 32
 
 _NOT_LETTERS = re.compile(r"[\W\d_]+")
 
@@ -63,12 +60,14 @@ def fit(
     sample_per_lang: int = SAMPLE_PER_LANG,
     dict_bytes: int = DICT_BYTES,
 ) -> dict[str, bytes]:
-    """Dictionaries by language from a bounded sample: the ``sample_per_lang`` texts of each
-    language with the smallest hash of their id. Rows with null text or language are not used.
+    """Dictionaries by language from a bounded sample: a window of each of the ``sample_per_lang`` texts of each
+    language with the smallest hash of their id, from a place in the whole text that the hash
+    names. Rows with null text or language are not used.
 
     Aggregating bounded slices keeps the largest group from meeting in one task: ids are ranked
-    within salted parts first. What reaches the driver is at most
-    ``languages * sample_per_lang`` texts.
+    within salted parts first. What reaches the driver is at most ``languages * sample_per_lang``
+    windows (a few more by rounding), about ``dict_bytes`` a language; more languages than
+    ``MODEL_BYTES`` hold get smaller dictionaries.
     """
     from pyspark.sql import Window
 
@@ -80,30 +79,22 @@ def fit(
     per_part = max(1, math.ceil(sample_per_lang / 64))
     picked = ranked.withColumn("r", F.row_number().over(Window.partitionBy("lang", "part").orderBy("h", "id"))).filter(F.col("r") <= per_part)
     bound = picked.select("lang", "id")
-    texts = train.select(F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("id"), F.substring(F.col(text_col), 1, dict_bytes).alias("text"))
+    wide = math.ceil(1.1 * dict_bytes / sample_per_lang)
+    text = F.col(text_col).cast("string")
+    start = F.pmod(F.xxhash64(F.col(id_col), F.lit(1)), F.greatest(F.char_length(text) - wide, F.lit(0)) + 1) + 1
+    windows = train.select(F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("id"), F.substring(text, start.cast("int"), F.lit(wide)).alias("text"))
     # at most languages * 64 * per_part ids: their size is proven by the rank filter
-    rows = texts.filter("text is not null").join(F.broadcast(bound), ["lang", "id"], "left_semi").collect()
+    rows = windows.filter("text is not null").join(F.broadcast(bound), ["lang", "id"], "left_semi").collect()
     by: dict[str, list[tuple[int, str]]] = {}
     for r in rows:
         by.setdefault(r["lang"], []).append((r["id"], r["text"]))
+    size = min(dict_bytes, MODEL_BYTES // max(1, len(by)))
     out = {}
     for lang, texts in sorted(by.items()):
-        texts.sort()
-        share = max(256, dict_bytes // max(1, len(texts)))
-        seen, parts, left = set(), [], []
-        for _, t in texts:
-            raw = normalise(t).encode()
-            if raw in seen:
-                continue
-            seen.add(raw)
-            parts.append(raw[:share])
-            left.append(raw[share:])
-        body = b" ".join(parts)
-        for rest in left:  # short texts leave room, which long ones fill
-            if len(body) >= dict_bytes:
-                break
-            body += b" " + rest[: dict_bytes - len(body)]
-        out[lang] = body[-dict_bytes:]
+        # sorted by id and text; texts that repeat teach nothing new
+        body = " ".join(dict.fromkeys(normalise(t) for _, t in sorted(texts))).encode()[:size]
+        if body.strip():
+            out[lang] = body
     return out
 
 
@@ -127,13 +118,8 @@ def _blocks(raw: bytes, block: int) -> list[bytes]:
 
 def sizes(text: str, model: tuple[tuple[str, bytes], ...], level: int = LEVEL, block: int = BLOCK_BYTES) -> list[tuple[int, str]]:
     """Encoded bytes of the whole text per language, smallest first, ties by name."""
-    raw = normalise(text).encode()
-    made, parts = _compressors(model, level), _blocks(raw, block)
-    found = sorted((sum(len(enc(b)) for b in parts), lang) for lang, enc, _, _ in made)
-    if len(found) > 1 and (len(raw) < SHORT_BYTES or found[1][0] - found[0][0] < LOOK_AGAIN * found[1][0]):
-        parts = _blocks(b" ".join(dict.fromkeys(raw.split())), block)
-        found = sorted((sum(len(enc(x + b + b" ")) for b in parts for x in carriers) - cost * len(parts), lang) for lang, enc, carriers, cost in made)
-    return found
+    parts = _blocks(normalise(text).encode(), block)
+    return sorted((sum(len(enc(x + b + b" ")) for b in parts for x in carriers) - cost * len(parts), lang) for lang, enc, carriers, cost in _compressors(model, level))
 
 
 def decide(text: str | None, model: tuple[tuple[str, bytes], ...], min_margin: float = MIN_MARGIN, level: int = LEVEL, block: int = BLOCK_BYTES):
@@ -145,8 +131,8 @@ def decide(text: str | None, model: tuple[tuple[str, bytes], ...], min_margin: f
     if len(found) == 1:
         return lang, 1.0, 1.0, False
     second = found[1][0]
-    margin = (second - best) / second if second > 0 else 0.0
-    score = 1.0 / sum(math.exp(-min(60.0, (n - best) * 0.5)) for n, _ in found)
+    margin = (second - best) / max(second, 1)
+    score = 1.0 / sum(math.exp(-min(60.0, (n - best) * 0.5 / CARRIERS)) for n, _ in found)
     return lang, score, margin, second == best or margin < min_margin
 
 

@@ -26,6 +26,37 @@ def test_language_id_held_out_accuracy(spark):
     assert sum(r["rejected"] for r in got.values()) / len(got) < 0.01
 
 
+def test_language_id_equals_brute_force(spark):
+    """The query's rows from dictionaries, blocks and carriers written out plainly, on every row of the smallest table."""
+    import zstandard as zstd
+
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    model = langid.fit(docs.filter(~langid.held_out_expr("doc_id")))
+    assert all(len(d) <= langid.DICT_BYTES for d in model.values())
+
+    def size(raw, dictionary):
+        enc = zstd.ZstdCompressor(level=langid.LEVEL, dict_data=zstd.ZstdCompressionDict(dictionary, dict_type=zstd.DICT_TYPE_RAWCONTENT), write_content_size=False, write_checksum=False, write_dict_id=False)
+        total = 0
+        for k in range(4):
+            start = dictionary[len(dictionary) * k // 4 :][:32] + b" "
+            for at in range(0, len(raw), 2048):
+                total += len(enc.compress(start + raw[at : at + 2048] + b" ")) - len(enc.compress(start))
+        return total
+
+    got = {r["doc_id"]: r["lang_pred"] for r in Q.op2_zstd_language_id(spark, sf).collect()}
+    for r in docs.collect():
+        raw = " ".join(re.findall(r"[^\W\d_]+", (r["text"] or "").lower())).encode()
+        assert got[r["doc_id"]] == (min((size(raw, d), lang) for lang, d in model.items())[1] if raw else "und")
+
+
+def test_language_windows_come_from_whole_texts(spark):
+    """What tells the languages apart stands far behind the start of each text."""
+    rows = [(i, "zz " * 2000 + ("the cat and the dog " if i % 2 else "der hund und die katze ") * 2000, "en" if i % 2 else "de") for i in range(200)]
+    model = langid.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert b"katze" in model["de"] and b"the cat" in model["en"]
+
+
 def test_language_id_odd_rows(spark):
     train = spark.createDataFrame([(i, "the cat and the dog of it " * 9, "en") for i in range(5)] + [(9 + i, "der hund und die katze von " * 9, "de") for i in range(5)] + [(30, None, "en"), (31, "x", None)], "doc_id long, text string, lang string")
     model = langid.fit(train)
