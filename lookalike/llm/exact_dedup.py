@@ -68,10 +68,16 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     folded = fold_ascii(F.coalesce(F.col(text_col), F.lit("")))
     rows = docs.withColumn(key, content_key(folded))
     first = rows.join(groups.filter("__keep is not null"), (F.col(id_col) == F.col("__keep")) & (F.col(key) == F.col("__h")), "left_semi")
-    # ids that repeat are few or none, and only their rows are shuffled again
-    again = docs.groupBy(F.col(id_col).alias("__again")).agg(F.count("*").alias("n")).filter("n > 1 and __again is not null").select("__again")
+    # ids that repeat, and rows without one, ask for more passes over the table: only where there are any
+    again = docs.groupBy(F.col(id_col).alias("__again")).agg(F.count("*").alias("n")).filter("n > 1 or __again is null").select("__again")
+    odd = again.agg(F.count("__again").alias("repeated"), F.count("*").alias("all")).first()
+    if not odd["all"]:
+        return first.drop(key)
     once = first.join(again, F.col(id_col) == F.col("__again"), "left_anti").drop(key)
     more = first.join(again, F.col(id_col) == F.col("__again"), "left_semi").dropDuplicates([id_col, key]).drop(key)
+    out = once.unionByName(more) if odd["repeated"] else first.drop(key)
+    if odd["all"] == odd["repeated"]:
+        return out
     nameless = rows.filter(F.col(id_col).isNull()).join(groups.filter("__keep is null"), F.col(key) == F.col("__h"), "left_semi")
     nameless = nameless.withColumn(norm, folded).dropDuplicates([key, norm]).drop(key, norm)
-    return once.unionByName(more).unionByName(nameless)
+    return out.unionByName(nameless)
