@@ -34,8 +34,10 @@ COORDS = 128
 TREES = 6
 #: Documents of a node that are searched exhaustively; larger nodes branch again, to this depth.
 LEAF, DEPTH = 512, 3
-#: Rows of one block of a node or group, and members of a large one that every block gets.
-BLOCK_ROWS, HUBS = 512, 4
+#: Rows of one block: of a node's sketches; of a candidate group's texts, in the first pass and in the second.
+SKETCH_ROWS, TEXT_ROWS, PAIR_ROWS = 4096, 64, 512
+#: Members of a group of several blocks that every block gets.
+HUBS = 4
 #: Standard deviations of the estimate by which a candidate may fall short of the threshold.
 SLACK = 4.5
 #: Words that a worker remembers the hashes of.
@@ -189,20 +191,20 @@ def _edges_of(ids: np.ndarray, root: np.ndarray) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array(centre[keep]), pa.array(i[keep])], names=EDGES.names)
 
 
-def search_groups(rows: DataFrame, key: str, make_near) -> DataFrame:
+def search_groups(rows: DataFrame, key: str, make_near, block: int, pair_block: int) -> DataFrame:
     """Edges ``a, b`` that connect all rows of a group which the predicate links; ``rows`` has ``key``, ``rid`` and payload.
 
     ``make_near(table)`` builds ``near(i, rest)`` over an Arrow table of payload columns. Groups up
-    to ``BLOCK_ROWS`` are one task's; a larger one is dealt to blocks by hash. In the first pass a
+    to ``block`` rows are one task's; a larger one is dealt to such blocks by hash. In the first pass a
     block also gets the group's hubs, the ``HUBS`` rows with the smallest hashes. In the second,
-    rows outside the group's largest part so far meet each other and that part, in pairs of blocks;
+    rows outside the group's largest part so far meet each other and that part, in pairs of blocks of ``pair_block`` rows;
     parts that the first pass joined are not compared again. No link is lost: two linked rows lie in
     one part after the first pass, or meet in the second.
     """
     payload = [c for c in rows.columns if c not in (key, "rid")]
     order = [F.min(F.struct(F.xxhash64("rid", F.lit(h)), "rid"))["rid"] for h in range(HUBS)]
     sized = cut(rows.groupBy(key).agg(F.count("*").alias("members"), F.array(*order).alias("hubs")).filter("members > 1"), "groups")
-    nb = F.ceil(F.col("members") / BLOCK_ROWS).cast("int")
+    nb = F.ceil(F.col("members") / block).cast("int")
     r = rows.join(sized, key).withColumn("nb", nb).withColumn("own", F.pmod(F.xxhash64("rid", F.lit(5)), F.col("nb")).cast("int"))
     where = F.when((F.col("nb") > 1) & F.array_contains("hubs", F.col("rid")), F.sequence(F.lit(0), F.col("nb") - 1)).otherwise(F.array("own"))
     r = r.select(key, F.explode(where).alias("block"), "rid", *payload).select(F.xxhash64(key, "block").alias("grp"), "rid", *payload)
@@ -213,7 +215,7 @@ def search_groups(rows: DataFrame, key: str, make_near) -> DataFrame:
                 yield e
 
     edges = cut(r.repartition("grp").sortWithinPartitions("grp").mapInArrow(first, EDGES).distinct(), "edges")
-    big = sized.filter(F.col("members") > BLOCK_ROWS).select(key)
+    big = sized.filter(F.col("members") > block).select(key)
     if big.isEmpty():
         return edges
     part = connected_components(edges).select(F.col("id").alias("__i"), F.col("component_id").alias("part"))
@@ -221,7 +223,7 @@ def search_groups(rows: DataFrame, key: str, make_near) -> DataFrame:
     ids = cut(ids, "parts")
     sizes = ids.groupBy(key, "part").agg(F.count("*").alias("n"))
     about = sizes.groupBy(key).agg(F.max_by("part", F.struct("n", "part")).alias("main"), F.sum("n").alias("all"), F.max("n").alias("most")).filter("most < all")
-    about = about.select(key, "main", F.ceil(F.col("most") / BLOCK_ROWS).cast("int").alias("ng"), F.ceil((F.col("all") - F.col("most")) / BLOCK_ROWS).cast("int").alias("nl"))
+    about = about.select(key, "main", F.ceil(F.col("most") / pair_block).cast("int").alias("ng"), F.ceil((F.col("all") - F.col("most")) / pair_block).cast("int").alias("nl"))
     if about.isEmpty():
         return edges
     # of the rows outside the main part the blocks meet each other and, block by block, the main part
@@ -290,7 +292,7 @@ def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf
 
         return near
 
-    return search_groups(found.select("node", "rid", "n", "sketch"), "node", make_near)
+    return search_groups(found.select("node", "rid", "n", "sketch"), "node", make_near, SKETCH_ROWS, SKETCH_ROWS)
 
 
 def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_col: str, text_col: str, width: int) -> DataFrame:
@@ -331,7 +333,7 @@ def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_c
 
         return near
 
-    return search_groups(rows.select("group_id", "rid", "text", "digest"), "group_id", make_near)
+    return search_groups(rows.select("group_id", "rid", "text", "digest"), "group_id", make_near, TEXT_ROWS, PAIR_ROWS)
 
 
 def row_classes(docs: DataFrame, id_col: str, text_col: str, similarity: float, width: int, trees: int) -> tuple[DataFrame, DataFrame]:

@@ -110,7 +110,8 @@ def test_near_duplicates_equal_brute_force(spark):
 
 def test_large_nodes_and_blocks(spark, monkeypatch):
     """Small leaves and blocks force branching and pairs of blocks."""
-    monkeypatch.setattr(set_join, "BLOCK_ROWS", 8)
+    for name in ("SKETCH_ROWS", "TEXT_ROWS", "PAIR_ROWS"):
+        monkeypatch.setattr(set_join, name, 8)
     docs = planted(7, 12)
     base = docs[0][1].split() if docs[0][1] else []
     base = (base + [f"x{i}" for i in range(200)])[:200]
@@ -122,7 +123,8 @@ def test_large_nodes_and_blocks(spark, monkeypatch):
 
 def test_large_groups_meet_block_by_block(spark, monkeypatch):
     """A chain of texts, each like the next alone, in one group: hubs reach few, so the second pass must find the rest."""
-    monkeypatch.setattr(set_join, "BLOCK_ROWS", 5)
+    for name in ("SKETCH_ROWS", "TEXT_ROWS", "PAIR_ROWS"):
+        monkeypatch.setattr(set_join, name, 5)
     monkeypatch.setattr(set_join, "HUBS", 1)
     words = [f"w{i}" for i in range(400)]
     chain = [(i, " ".join(words[i : i + 80])) for i in range(0, 120)]
@@ -132,9 +134,8 @@ def test_large_groups_meet_block_by_block(spark, monkeypatch):
     assert got == brute_near(chain, 97)
 
 
-def test_search_groups_equals_brute_force(spark, monkeypatch):
+def test_search_groups_equals_brute_force(spark):
     """Any predicate, any group sizes: the same components as all pairs give."""
-    monkeypatch.setattr(set_join, "BLOCK_ROWS", 4)
     rng = random.Random(6)
     data = [(g, g * 1000 + i, rng.randrange(200)) for g, n in ((1, 90), (2, 4), (3, 33), (4, 1)) for i in range(n)]
 
@@ -143,7 +144,7 @@ def test_search_groups_equals_brute_force(spark, monkeypatch):
         return lambda i, rest: np.abs(v[rest] - v[i]) <= 1
 
     df = spark.createDataFrame(data, "g long, rid long, v long")
-    got = {r["id"]: r["component_id"] for r in connected_components(set_join.search_groups(df, "g", make_near)).collect()}
+    got = {r["id"]: r["component_id"] for r in connected_components(set_join.search_groups(df, "g", make_near, 4, 6)).collect()}
     want = components([r for _, r, _ in data], [(a, b) for (g, a, v), (h, b, w) in itertools.combinations(data, 2) if g == h and abs(v - w) <= 1])
     assert {i: got.get(i, i) for i in want} == want
 
