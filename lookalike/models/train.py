@@ -16,6 +16,8 @@ from . import layers, predict
 
 #: Nodes that are fitted on at most, with the edges among them; more are sampled by the hash of their id.
 MAX_TRAIN_NODES = 20_000
+#: Directed edges among them that are fitted on at most; of more, those with the smallest hashes, both directions alike.
+MAX_TRAIN_EDGES = 4_000_000
 
 
 @dataclass
@@ -48,18 +50,29 @@ class Sample:
     dst: np.ndarray
 
 
-def sample(graph: AnchoredGraph, max_nodes: int = MAX_TRAIN_NODES) -> Sample:
-    """At most ``max_nodes`` nodes, smallest id hash first, and the edges among them."""
-    picked = smallest_hashes(graph.nodes, max_nodes)
-    t = picked.select("node_id", "x", F.coalesce(F.col("label").cast("int"), F.lit(-1)).alias("y"), "split").toArrow()
+def sample(graph: AnchoredGraph, max_nodes: int = MAX_TRAIN_NODES, max_edges: int = MAX_TRAIN_EDGES, include: DataFrame | None = None) -> Sample:
+    """At most ``max_nodes`` nodes, smallest id hash first, and at most about ``max_edges`` of the edges among them.
+
+    ``include`` (node_id) names nodes that are in the sample in any case, such as the few thousand of
+    pairs to fine-tune on. Beyond these bounds :class:`LinearPropagation` fits on all nodes and edges.
+    """
+    cols = ["node_id", "x", F.coalesce(F.col("label").cast("int"), F.lit(-1)).alias("y"), "split"]
+    picked = smallest_hashes(graph.nodes, max_nodes).select(*cols)
+    if include is not None:
+        picked = picked.union(graph.nodes.join(include.select("node_id").distinct(), "node_id", "left_semi").select(*cols)).dropDuplicates(["node_id"])
+    t = picked.toArrow()
     ids = t.column(0).to_numpy()
     order = np.argsort(ids)
     split = np.array(t.column(3).to_pylist(), object)[order]
     ids_df = graph.nodes.sparkSession.createDataFrame([(int(i),) for i in ids], "i long")
-    e = graph.both_ways().join(ids_df.withColumnRenamed("i", "src"), "src", "left_semi").join(ids_df.withColumnRenamed("i", "dst"), "dst", "left_semi").select("src", "dst").toArrow()
+    e = cut(graph.edges.select("src", "dst").join(ids_df.withColumnRenamed("i", "src"), "src", "left_semi").join(ids_df.withColumnRenamed("i", "dst"), "dst", "left_semi").select("src", "dst"), "sample-edges")
+    n = 2 * e.count()
+    if n > max_edges:
+        e = e.filter(F.pmod(F.xxhash64("src", "dst"), F.lit(1 << 30)) < int(max_edges / n * (1 << 30)))
+    e = e.toArrow()
     ids = ids[order]
-    at = lambda c: np.searchsorted(ids, e.column(c).to_numpy())
-    return Sample(ids, matrix(t.column(1))[order], t.column(2).to_numpy()[order], split == "train", split == "valid", at(0), at(1))
+    a, b = (np.searchsorted(ids, e.column(c).to_numpy()) for c in ("src", "dst"))
+    return Sample(ids, matrix(t.column(1))[order], t.column(2).to_numpy()[order], split == "train", split == "valid", np.r_[a, b], np.r_[b, a])
 
 
 def propagate(x: np.ndarray, s: Sample, norm: np.ndarray) -> np.ndarray:
@@ -128,10 +141,14 @@ def fit_gcn(s: Sample, hidden: int = 16, epochs: int = 100, lr: float = 0.02, se
 
 
 def fit(kind: str, graph: AnchoredGraph, epochs: int = 100, lr: float = 0.02, seed: int = 0, **how):
-    """``gcn``, ``cluster_gcn`` or ``linear``: a fitted model with ``predict(graph)``."""
+    """``gcn``, ``cluster_gcn``, ``linear``, ``gat``, ``gin``, ``mpnn`` or ``sage``: a fitted model with ``predict(graph)``."""
     if kind == "linear":
         return LinearPropagation.fit(graph, **how)
     s = sample(graph)
+    if kind in ("gat", "gin", "mpnn", "sage"):
+        from .gnn import fit_kind
+
+        return fit_kind(kind, s, epochs=epochs, lr=lr, seed=seed, **how)
     if kind == "cluster_gcn":
         return fit_batches(s, epochs=epochs, lr=lr, seed=seed, **how)
     return fit_gcn(s, epochs=epochs, lr=lr, seed=seed, **how)

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..apps import audit, errors, finetune
 from ..functions import caps
 from ..functions import vectors as V
-from ..models import fair, layers, predict, train
+from ..models import fair, gnn, layers, predict, train
 from ..operators import cluster, graph, index, metrics, pairs, scan, search, similarity, wl
 from ..operators.cluster import Layers, LayerSpec
 from ..operators.graph import AnchoredGraph
@@ -774,6 +774,44 @@ def audit_two_models(spark, sf_dir):
     return out
 
 
+@query("audit_sensitive_rank")
+def audit_sensitive_rank(spark, sf_dir):
+    """``model, value, ds, rank``: where each region stands among all feature values under the plain and the fairness-aware model."""
+    g, plain, fairer = _cust_models(spark, sf_dir)
+    values = cut(W.cust_values(spark, sf_dir), "values")
+    sigs = cut(similarity.signatures(AnchoredGraph(g.nodes, g.edges)).select("node_id", "sig"), "sigs")
+    found = []
+    for name, model in (("gcn", plain), ("fair_gcn", fairer)):
+        twins = cut(scan.exact_scan_all(cut(sigs.join(model.predict(g).select("node_id", "verdict"), "node_id"), "judged"), K), "twins")
+        ranks = audit.rank_features(audit.discrimination_scores(twins, values, K), 1000).filter("feature = 'region'")
+        found.append(ranks.select(F.lit(name).alias("model"), "value", V.r6("ds").alias("ds"), "rank"))
+    return _stack(found)
+
+
+def _pairs_by_fitted(g, ks=(1, 10, 50)):
+    """``model, k, avg_sim, accuracy``: top pairs under the verdicts of each fitted model; signatures do not depend on it."""
+    sigs, found = cut(similarity.signatures(AnchoredGraph(g.nodes.drop("verdict"), g.edges)).select("node_id", "sig"), "sigs"), []
+    labels = g.nodes.filter("split = 'test'").select("node_id", "label")
+    for kind in gnn.KINDS:
+        verdicts = cut(train.fit(kind, g, epochs=40).predict(g).select("node_id", "verdict"), "verdicts")
+        acc = metrics.accuracy(verdicts, labels)
+        ranked = cut(pairs.twin_pairs(cut(sigs.join(verdicts, "node_id"), "judged"), max(ks)), "pairs")
+        for k in ks:
+            row = metrics.average_pair_similarity(ranked.filter(F.col("rank") <= k)).crossJoin(acc)
+            found.append(row.select(F.lit(kind).alias("model"), F.lit(k).alias("k"), V.r6("avg_sim").alias("avg_sim"), V.r6("accuracy").alias("accuracy")))
+    return _stack(found)
+
+
+@query("exp_pairs_by_fitted_model_pages")
+def exp_pairs_by_fitted_model_pages(spark, sf_dir):
+    return _pairs_by_fitted(W.page_near_graph(spark, sf_dir))
+
+
+@query("exp_pairs_by_fitted_model_parts")
+def exp_pairs_by_fitted_model_parts(spark, sf_dir):
+    return _pairs_by_fitted(W.part_graph(spark, sf_dir, 1))
+
+
 @query("pairs_by_model")
 def pairs_by_model(spark, sf_dir):
     """Average similarity of the top 50 pairs when verdicts come from different layers with the same literal weights."""
@@ -795,13 +833,19 @@ def pairs_by_model(spark, sf_dir):
     return out
 
 
-def _tuned(spark, sf_dir):
-    g = W.page_near_graph(spark, sf_dir)
+#: Pairs that the second fine-tuning setting fixes, for each node of the table that the setting was reported on.
+FIXED_SHARE = 1200 / 19717
+
+
+def _tuned(spark, sf_dir, graph_of=W.page_near_graph, most=400):
+    """A fitted model, its pairs of alike test nodes, and a sample that holds every node of those pairs."""
+    g = graph_of(spark, sf_dir)
     s = train.sample(g)
     model = train.fit_gcn(s, epochs=60)
     judged = g.nodes.join(model.predict(g).select("node_id", "verdict"), "node_id").filter("split = 'test'")
     sigs = similarity.signatures(AnchoredGraph(g.nodes, g.edges)).join(judged.select("node_id", "verdict"), "node_id")
-    ranked = cut(pairs.twin_pairs(cut(sigs.select("node_id", "verdict", "sig"), "sigs"), 400), "pairs")
+    ranked = cut(pairs.twin_pairs(cut(sigs.select("node_id", "verdict", "sig"), "sigs"), most), "pairs")
+    s = train.sample(g, include=finetune.pair_nodes(ranked, most))
     return g, model, s, ranked, g.nodes.filter("split = 'test'").select("node_id", "label")
 
 
@@ -817,10 +861,39 @@ def finetune_sweep_select(spark, sf_dir):
     return finetune.sweep(g, model, s, ranked, labels, [10], mode="select")
 
 
+def _fixed(spark, sf_dir, graph_of):
+    g, model, s, ranked, labels = _tuned(spark, sf_dir, graph_of, 2000)
+    k_fix = max(1, round(FIXED_SHARE * g.nodes.count()))
+    return finetune.fixed(g, model, s, ranked, labels, k_fix, [5, 20, 50, 100])
+
+
 @query("finetune_fixed")
 def finetune_fixed(spark, sf_dir):
-    g, model, s, ranked, labels = _tuned(spark, sf_dir)
-    return finetune.fixed(g, model, s, ranked, labels, 10, [5, 10, 20])
+    """A share of pairs as reported is fixed; accuracy on the next pairs without them."""
+    return _fixed(spark, sf_dir, W.page_near_graph)
+
+
+@query("exp_finetune_documents")
+def exp_finetune_documents(spark, sf_dir):
+    """``setting, k, before, after`` of both settings on documents."""
+    g, model, s, ranked, labels = _tuned(spark, sf_dir, W.doc_graph, 2000)
+    known = labels.filter("label is not null")
+    k_fix = max(1, round(FIXED_SHARE * g.nodes.count()))
+    swept = finetune.sweep(g, model, s, ranked, known, [5, 20, 50]).select(F.lit("sweep").alias("setting"), "k", "before", "after")
+    return swept.union(finetune.fixed(g, model, s, ranked, known, k_fix, [20, 50, 100]).select(F.lit("fixed").alias("setting"), "k", "before", "after"))
+
+
+@query("exp_errors_documents")
+def exp_errors_documents(spark, sf_dir):
+    """Accuracy of a fitted model inside the first k pairs of documents, and over all labelled ones as k = 0."""
+    g = W.doc_graph(spark, sf_dir)
+    verdicts = cut(train.fit("gcn", g, epochs=60).predict(g).select("node_id", "verdict"), "verdicts")
+    sigs = similarity.signatures(g).select("node_id", "sig").join(verdicts, "node_id")
+    ranked = cut(pairs.twin_pairs(cut(sigs, "sigs"), 400), "pairs")
+    labels = g.nodes.filter("label is not null").select("node_id", "label")
+    curve = errors.accuracy_in_pairs(ranked, verdicts, labels, [10, 50, 100, 200, 400])
+    line = verdicts.join(labels, "node_id").agg(F.count("*").alias("n_nodes"), F.avg((F.col("verdict") == F.col("label")).cast("double")).alias("accuracy")).select(F.lit(0).alias("k"), "n_nodes", "accuracy")
+    return curve.unionByName(line).withColumn("accuracy", V.r6("accuracy"))
 
 
 @query("edge_mask_flip")
@@ -894,10 +967,18 @@ def exp_local_similarity_parts(spark, sf_dir):
 PAIR_KS = (1, 10, 50, 100, 200)
 
 
-@query("exp_global_similarity_embeddings")
-def exp_global_similarity_embeddings(spark, sf_dir):
-    """``method, mode, k, avg_sim`` of the top pairs; local lists are made once per method."""
-    sigs = cut(emb_sigs(spark, sf_dir).select("node_id", "verdict", "sig"), "sigs")
+def _x2_sql(fixture: str, dim: int) -> str:
+    parts, ctes = [], [fixture]
+    for m, chain in (("exact", None), ("index", O.layers(3, 10, 3, dim)), ("flat_weights", O.layers(3, 10, 3, dim, rule="unit")), ("single_layer", O.layers(1, 10, 3, dim))):
+        source = f"s_{m}"
+        ctes.append(O.local(1, source) if chain is None else f"{source} AS MATERIALIZED (WITH {chain}, {O.indexed(1, 'ix')} SELECT * FROM ix)")
+        ctes.append(f"r_{m} AS MATERIALIZED (WITH {O.pairs(source, 200)} SELECT * FROM pr)")
+        parts.append(f"SELECT '{m}' AS method, k, round(avg(round(sim, 6)), 6) + 0.0 AS avg_sim FROM (SELECT unnest([1, 10, 50, 100, 200])::INT AS k), r_{m} WHERE rank <= k GROUP BY k")
+    return O.with_(*ctes) + " " + " UNION ALL ".join(parts)
+
+
+def _global_by_method(sigs: DataFrame) -> DataFrame:
+    """``method, k, avg_sim`` of the top pairs; local lists are made once per method."""
     found = []
     for m in METHODS:
         twins = cut(pairs.local_twins(sigs, 1, m, spec=SPEC), m)
@@ -907,6 +988,26 @@ def exp_global_similarity_embeddings(spark, sf_dir):
     return _stack(found)
 
 
+@query("exp_global_similarity_embeddings", _x2_sql(EMB, 64))
+def exp_global_similarity_embeddings(spark, sf_dir):
+    return _global_by_method(cut(emb_sigs(spark, sf_dir).select("node_id", "verdict", "sig"), "sigs"))
+
+
+@query("exp_global_similarity_parts", _x2_sql(",\n".join((O.part_fixture(2), O.signatures(27))), 27))
+def exp_global_similarity_parts(spark, sf_dir):
+    return _global_by_method(cut(part_sigs(spark, sf_dir, 2), "sigs"))
+
+
+@query("index_all_topk_recall")
+def index_all_topk_recall(spark, sf_dir):
+    """``v, u, rank, sim`` of the index at its production setting (50 layers), with as many probes as random-like vectors need for a recall of 0.9."""
+    return search.index_search_all(index.build(emb_sigs(spark, sf_dir), LayerSpec()), K, r=PROBES)
+
+
+#: Best layers of 50 that a search of the embeddings visits: recall of at least 0.9 (a test measures it).
+PROBES = 8
+
+
 @query("exp_layer_count")
 def exp_layer_count(spark, sf_dir):
     """``p, avg_sim, avg_recall, candidates`` of the index as layers are added."""
