@@ -104,12 +104,18 @@ def bounded_exact(index: TwinIndex, query_id: int, k: int) -> DataFrame:
     return index.nodes.sparkSession.createDataFrame(rows, "u long, rank int, sim double")
 
 
-def lsh_search(sigs: DataFrame, k: int, bucket: float = 1.0, tables: int = 8, max_dist: float = 2.0, seed: int = 42) -> DataFrame:
-    """A baseline: Euclidean LSH on unit signatures, where squared distance is 2 - 2 cos."""
+def lsh_search(sigs: DataFrame, k: int, min_sim: float = 0.15, bucket: float = 0.5, tables: int = 16, seed: int = 42) -> DataFrame:
+    """A baseline: Euclidean LSH on unit signatures, where squared distance is 2 - 2 cos.
+
+    Only pairs of at least ``min_sim`` are kept. Unit vectors project to a spread of 1 / sqrt(d), so
+    buckets are ``bucket`` of four such spreads: a handful of buckets a table, not one that holds all.
+    """
     from pyspark.ml.feature import BucketedRandomProjectionLSH
     from pyspark.ml.functions import array_to_vector
 
+    first = sigs.select(F.size("sig").alias("d")).head()
+    width = bucket * 4 / math.sqrt(first["d"] if first else 1)
     v = sigs.select("node_id", "verdict", "sig", array_to_vector("sig").alias("features"))
-    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(v)
-    pairs = model.approxSimilarityJoin(v, v, max_dist, distCol="dist").filter("datasetA.verdict <> datasetB.verdict")
+    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=width, numHashTables=tables, seed=seed).fit(v)
+    pairs = model.approxSimilarityJoin(v, v, math.sqrt(2 - 2 * min_sim) + 1e-9, distCol="dist").filter("datasetA.verdict <> datasetB.verdict")
     return merge_topk(pairs.select(F.col("datasetA.node_id").alias("v"), F.col("datasetB.node_id").alias("u"), F.round(1 - F.col("dist") * F.col("dist") / 2, 9).alias("sim")), k)

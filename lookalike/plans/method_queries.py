@@ -410,25 +410,28 @@ def index_shortage_short(spark, sf_dir):
     return search.index_search_all(part_index(spark, sf_dir), K, "return_short")
 
 
+_FULL = "f AS MATERIALIZED (SELECT v FROM ix WHERE rank = 10)"
+
+
 @query(
     "index_shortage_exact",
-    O.with_(PART, O.indexed(10), O.local(10)) + ", f AS (SELECT v FROM ix WHERE rank = 10) SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM ix WHERE v IN (SELECT v FROM f) UNION ALL SELECT v, u, rank, round(sim, 6) + 0.0 FROM lt WHERE v NOT IN (SELECT v FROM f)",
+    O.with_(PART, O.indexed(10), _FULL, O.local(10, only=" AND a.id NOT IN (SELECT v FROM f)")) + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM ix WHERE v IN (SELECT v FROM f) UNION ALL SELECT v, u, rank, round(sim, 6) + 0.0 FROM lt",
 )
 def index_shortage_exact(spark, sf_dir):
     return search.index_search_all(part_index(spark, sf_dir), K, "exact")
 
 
-_PROBE = """, hr AS MATERIALIZED (SELECT id, layer, c FROM (SELECT id, layer, c, row_number() OVER (PARTITION BY id ORDER BY round(w, 12), round(cos, 12) DESC, layer) AS rn FROM asg) WHERE rn <= 2),
+_PROBE = """, hr AS MATERIALIZED (SELECT id, layer, c FROM (SELECT id, layer, c, row_number() OVER (PARTITION BY id ORDER BY round(w, 12), round(cos, 12) DESC, layer) AS rn FROM asg{only}) WHERE rn <= 2),
 mp AS MATERIALIZED (SELECT * FROM (SELECT v, u, sim, row_number() OVER (PARTITION BY v ORDER BY sim DESC, u)::INT AS rank FROM (SELECT DISTINCT a.id AS v, b.id AS u, round(list_dot_product(a.s, b.s), 9) AS sim
   FROM sig a JOIN hr h ON h.id = a.id JOIN asg g ON g.layer = h.layer AND g.c = h.c JOIN sig b ON b.id = g.id WHERE a.verdict <> b.verdict)) WHERE rank <= 10)"""
 
 
-@query("index_shortage_next_layer", O.with_(PART, O.indexed(10)) + _PROBE + ", f AS (SELECT v FROM ix WHERE rank = 10) SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM ix WHERE v IN (SELECT v FROM f) UNION ALL SELECT v, u, rank, round(sim, 6) + 0.0 FROM mp WHERE v NOT IN (SELECT v FROM f)")
+@query("index_shortage_next_layer", O.with_(PART, O.indexed(10), _FULL) + _PROBE.format(only=" WHERE id NOT IN (SELECT v FROM f)") + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM ix WHERE v IN (SELECT v FROM f) UNION ALL SELECT v, u, rank, round(sim, 6) + 0.0 FROM mp")
 def index_shortage_next_layer(spark, sf_dir):
     return search.index_search_all(part_index(spark, sf_dir), K, "next_layer")
 
 
-@query("index_multiprobe", O.with_(PART) + _PROBE + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM mp")
+@query("index_multiprobe", O.with_(PART) + _PROBE.format(only="") + " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM mp")
 def index_multiprobe(spark, sf_dir):
     return search.index_search_all(part_index(spark, sf_dir), K, r=2)
 

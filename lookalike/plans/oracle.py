@@ -98,10 +98,10 @@ cm AS (SELECT label, list(m ORDER BY i) AS m FROM (SELECT label, i, avg(h) AS m
 vd AS MATERIALIZED (SELECT id, label::INT AS verdict FROM (SELECT hl.id, cm.label, row_number() OVER (PARTITION BY hl.id ORDER BY round(list_dot_product(m, m) - 2 * list_dot_product(h, m), 9), cm.label) AS r FROM hl, cm) WHERE r = 1)"""
 
 
-def local(k: int, name: str = "lt") -> str:
-    """``lt(v, u, rank, sim)``: exact local twins."""
+def local(k: int, name: str = "lt", only: str = "") -> str:
+    """``lt(v, u, rank, sim)``: exact local twins; ``only`` is a condition on ``a.id``."""
     return f"""{name} AS MATERIALIZED (SELECT * FROM (SELECT a.id AS v, b.id AS u, row_number() OVER (PARTITION BY a.id ORDER BY round(list_dot_product(a.s, b.s), 9) DESC, b.id)::INT AS rank,
-  round(list_dot_product(a.s, b.s), 9) AS sim FROM sig a JOIN sig b ON a.verdict <> b.verdict) WHERE rank <= {k})"""
+  round(list_dot_product(a.s, b.s), 9) AS sim FROM sig a JOIN sig b ON a.verdict <> b.verdict{only}) WHERE rank <= {k})"""
 
 
 def lloyd(layer: int, m: int, rounds: int, weight: str | None = None) -> str:
