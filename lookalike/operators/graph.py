@@ -83,13 +83,13 @@ def alike_sets(rows: DataFrame, item: str, elements: str, above: tuple[int, int]
     return pairs.filter(den * both > num * (F.size("s1") + F.size("s2") - both)).select("src", "dst")
 
 
-def shared_key(rows: DataFrame, item: str, keys: list[str]) -> DataFrame:
-    """Items that agree on all of ``keys``."""
-    r = rows.select(F.col(item).alias("i"), *keys)
-    cond = F.col("a.i") < F.col("b.i")
-    for k in keys:
-        cond = cond & (F.col(f"a.{k}") == F.col(f"b.{k}"))
-    return r.alias("a").join(r.alias("b"), cond).select(F.col("a.i").alias("src"), F.col("b.i").alias("dst")).distinct()
+def shared_key(rows: DataFrame, item: str, keys: list[str], block: int = 4096) -> DataFrame:
+    """Items that agree on all of ``keys``, none of them null; groups of more than ``block`` items are joined as pairs of blocks."""
+    full = rows
+    for c in (item, *keys):
+        full = full.filter(F.col(c).isNotNull())
+    full = full.select(F.struct(*keys).alias("group"), F.col(item).alias("i"))
+    return co_occurrence(full, "group", "i", block=block).select("src", "dst")
 
 
 def epsilon(nodes: DataFrame, tau: float, id_col: str = "node_id", vec_col: str = "x", engine: str = "block") -> DataFrame:

@@ -33,6 +33,15 @@ def neighbour_mean(nodes: DataFrame, both: DataFrame) -> DataFrame:
 
 #: Edges that a bucket's kernel works on at a time.
 EDGE_CHUNK = 100_000
+#: Numbers that a bucket receives on average, at most (256 MB of doubles).
+BUCKET_NUMBERS = 32_000_000
+
+
+def buckets_for(nodes: DataFrame, both: DataFrame) -> int:
+    """Buckets that hold ``BUCKET_NUMBERS`` each even if no two edges of a bucket share a neighbour; one per shuffle partition at least."""
+    width = nodes.agg(F.max(F.size("x"))).head()[0] or 1
+    least = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return max(least, -(-both.count() * width // BUCKET_NUMBERS))
 
 
 def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None, weighted: bool = True) -> DataFrame:
@@ -40,12 +49,13 @@ def bucket_mean(nodes: DataFrame, both: DataFrame, buckets: int | None = None, w
 
     Edges are first gathered per (neighbour, bucket of the receiving node), ids only. A neighbour's
     vector then travels once to every bucket that needs it, not once per edge, and meets its
-    receivers in an Arrow kernel. Choose ``buckets`` so that a bucket's vectors fit a task
-    (default: the number of shuffle partitions).
+    receivers in an Arrow kernel. ``buckets`` grow with edges times dimensions unless given, so that a
+    bucket's vectors fit a task. The neighbours of one receiver meet in one task: where a
+    node may have millions, :func:`neighbour_mean` sums in parts.
     """
     spark = nodes.sparkSession
     ship(spark)
-    b = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    b = buckets or buckets_for(nodes, both)
     bucket = lambda c: F.pmod(F.xxhash64(c), F.lit(b)).cast("int")
     lists = both.groupBy(F.col("dst").alias("node_id"), bucket("src").alias("bucket")).agg(F.collect_list("src").alias("srcs"))
     sent = lists.join(nodes.select("node_id", "x"), "node_id").select(F.col("bucket").alias("to"), F.col("x").alias("y"), "srcs")

@@ -18,6 +18,7 @@ from ..operators.graph import AnchoredGraph
 from ..session import cut
 from ..sources import workloads as W
 from . import oracle as O
+from . import planner
 from .registry import query
 
 K, QUERY_NODE = 10, 7
@@ -196,6 +197,12 @@ def local_topk(spark, sf_dir):
     return scan.exact_scan(cut(emb_sigs(spark, sf_dir), "sigs"), QUERY_NODE, K)
 
 
+@query("local_topk_planned", O.with_(EMB) + ONE + "10")
+def local_topk_planned(spark, sf_dir):
+    """The exact answer by the engine that the cost planner picks, which has an index at hand."""
+    return planner.answer(cut(emb_sigs(spark, sf_dir), "sigs"), QUERY_NODE, K, emb_index(spark, sf_dir), exact_needed=True)[0]
+
+
 ALL = " SELECT v, u, rank, round(sim, 6) + 0.0 AS sim FROM lt"
 
 

@@ -4,6 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from ..operators import scan, search
+from ..operators.index import TwinIndex
 from ..operators.metrics import predicted_cost
 
 
@@ -26,3 +31,17 @@ def plan(n: int, d: int, k: int, m: int = 10, p: int = 50, exact_needed: bool =
         if not exact_needed:
             costs["index"] = predicted_cost("index", n, d, layers=0, k=k, m=m, p=p)["time"] + n * d / m
     return Choice(min(costs, key=costs.get), costs)
+
+
+def answer(sigs: DataFrame, query_id: int, k: int, index: TwinIndex | None = None, exact_needed: bool = False) -> tuple[DataFrame, Choice]:
+    """``u, rank, sim`` of one node by the engine that :func:`plan` picks, and the choice.
+
+    Rows and dimensions are counted from ``sigs``; layers and clusters are those of ``index``.
+    """
+    n, d = sigs.agg(F.count("*"), F.max(F.size("sig"))).head()
+    m, p = (len(index.layers.centroids[0]), len(index.layers.centroids)) if index else (1, 1)
+    picked = plan(n, d or 1, k, m, p, exact_needed, has_index=index is not None)
+    if picked.engine == "exact":
+        return scan.exact_scan(sigs, query_id, k), picked
+    run = search.bounded_exact if picked.engine == "bounded" else search.index_search
+    return run(index, query_id, k), picked

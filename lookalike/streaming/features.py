@@ -7,6 +7,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,24 +55,52 @@ def twin_feed(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour")
     return a.join(b, near).select("a_id", "b_id", "event_type")
 
 
-def verdict_changes(events: DataFrame) -> DataFrame:
-    """Per user a running verdict, the type seen most so far (ties: first by name): a row whenever it changes."""
+#: Events whose running counts are held at a time.
+COUNTED_ROWS = 4096
+
+
+def running_leader(kinds: list[str], base: np.ndarray, seen: np.ndarray) -> np.ndarray:
+    """After each event the place of the kind seen most so far; ``kinds`` are sorted, so ties go to the first by name."""
+    counts = base + np.cumsum(seen[:, None] == np.arange(len(kinds)), axis=0)
+    return counts.argmax(1)
+
+
+def verdict_changes(events: DataFrame, forget: str | None = None, late: str = "1 hour") -> DataFrame:
+    """Per user a running verdict, the type seen most so far (ties: first by name): a row whenever it changes.
+
+    Events without a type count for nothing. With ``forget`` (such as ``30 days``) the state of a user who
+    sends nothing for so long after the last event is dropped, and the user starts anew; without it every user's counts are kept.
+    """
+    idle = int(pd.Timedelta(forget).total_seconds() * 1000) if forget else None
+    typed = events.filter("event_type is not null").withColumn("ms", F.unix_millis(F.col("ts").cast("timestamp")))
+    if idle:
+        typed = typed.withWatermark("ts", late)
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         counts, verdict = (dict(zip(*state.get[:2], strict=True)), state.get[2]) if state.exists else ({}, None)
-        rows = []
-        for f in frames:
-            for ts, kind in f.sort_values(["ts", "event_id"])[["ts", "event_type"]].itertuples(index=False):
-                counts[kind] = counts.get(kind, 0) + 1
-                now = min(counts, key=lambda t: (-counts[t], t))
-                if now != verdict:
-                    rows.append((key[0], ts, verdict, now))
-                    verdict = now
-        state.update((list(counts), list(counts.values()), verdict))
-        yield pd.DataFrame(rows, columns=["user_id", "ts", "before", "after"])
-
-    return events.groupBy("user_id").applyInPandasWithState(
-        step, "user_id long, ts timestamp, before string, after string", "kinds array<string>, counts array<long>, verdict string", "append", GroupStateTimeout.NoTimeout
+        f = pd.concat(frames).sort_values(["ts", "event_id"])
+        kinds = sorted({*counts, *f["event_type"]})
+        base = np.array([counts.get(k, 0) for k in kinds], np.int64)
+        place = {k: i for i, k in enumerate(kinds)}
+        seen, ts = f["event_type"].map(place).to_numpy(), f["ts"].to_numpy()
+        for at in range(0, len(seen), COUNTED_ROWS):
+            part = seen[at : at + COUNTED_ROWS]
+            now = running_leader(kinds, base, part)
+            base = base + np.bincount(part, minlength=len(kinds))
+            before = np.concatenate(([place.get(verdict, -1)], now[:-1]))
+            new = np.flatnonzero(now != before)
+            yield pd.DataFrame({"user_id": key[0], "ts": ts[at + new], "before": [kinds[i] if i >= 0 else None for i in before[new]], "after": [kinds[i] for i in now[new]]})
+            verdict = kinds[now[-1]]
+        state.update((kinds, base.tolist(), verdict))
+        if idle:
+            state.setTimeoutTimestamp(max(int(f["ms"].max()) + idle, state.getCurrentWatermarkMs() + 1))
+
+    timeout = GroupStateTimeout.EventTimeTimeout if idle else GroupStateTimeout.NoTimeout
+    return typed.groupBy("user_id").applyInPandasWithState(
+        step, "user_id long, ts timestamp, before string, after string", "kinds array<string>, counts array<long>, verdict string", "append", timeout
     )
 
 
@@ -109,5 +138,3 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
         q = stream.writeStream.outputMode(mode).foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(path)).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.read.schema(stream.schema).parquet(path)
-
-

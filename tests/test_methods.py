@@ -364,6 +364,21 @@ def test_costs():
     assert "* index" in plan(1_000_000, 64, 10).explain()
 
 
+def test_shared_key_by_blocks(spark):
+    rows = spark.createDataFrame([(i, "a" if i % 4 else None, i % 2) for i in range(60)] + [(7, "a", 1)], "i long, s string, p int")
+    ids = [i for i in range(60) if i % 4]
+    want = sorted((a, b) for a in ids for b in ids if a < b and a % 2 == b % 2)
+    assert sorted(map(tuple, graph.shared_key(rows, "i", ["s", "p"], block=5).collect())) == want == sorted(map(tuple, graph.shared_key(rows, "i", ["s", "p"]).collect()))
+
+
+def test_buckets_grow_with_edges_and_dimensions(spark, monkeypatch):
+    nodes = spark.range(10).select(F.col("id").alias("node_id"), F.array_repeat(F.lit(1.0), 4).alias("x"))
+    both = spark.range(100).select((F.col("id") % 10).alias("src"), (F.col("id") % 7).alias("dst"))
+    few = similarity.buckets_for(nodes, both)
+    monkeypatch.setattr(similarity, "BUCKET_NUMBERS", 10)
+    assert few == int(spark.conf.get("spark.sql.shuffle.partitions")) and similarity.buckets_for(nodes, both) == 40
+
+
 def test_discrimination_scores(spark):
     twins = spark.createDataFrame([(1, u, i + 1, 0.9) for i, u in enumerate((2, 3, 4, 5))], "v long, u long, rank int, sim double")
     values = spark.createDataFrame([(1, "race", "a"), (2, "race", "b"), (3, "race", "b"), (4, "race", "a"), (5, "race", "c"), (1, "age", "x"), (2, "age", "x"), (3, "age", "x"), (4, "age", "x"), (5, "age", "x")], "node_id long, feature string, value string")

@@ -51,6 +51,29 @@ def test_running_verdicts_keep_state(feed):
     assert got == [(1, None, "view"), (1, "view", "buy"), (1, "buy", "view"), (2, None, "buy")]
 
 
+def test_running_verdicts_equal_a_plain_count(feed):
+    """Ties, repeats and more events than are counted at a time; events without a type count for nothing."""
+    n = S.COUNTED_ROWS + 500
+    kinds = [None if i % 50 == 49 else "abc"[(i * i + i // 7) % 3] for i in range(n)]
+    rows = [event(i, i, kind=k) for i, k in enumerate(kinds)]
+    counts, verdict, want = {}, None, []
+    for k in filter(None, kinds):
+        counts[k] = counts.get(k, 0) + 1
+        now = min(counts, key=lambda t: (-counts[t], t))
+        if now != verdict:
+            want.append((verdict, now))
+            verdict = now
+    got = S.drain(S.verdict_changes(feed(rows[: n // 3], rows[n // 3 :]))).orderBy("ts").collect()
+    assert [(r["before"], r["after"]) for r in got] == want and len(want) > 3
+
+
+def test_idle_users_are_forgotten(feed):
+    """User 1 is silent for days: the state goes, and the next event is a first one again."""
+    s = feed([event(1, 0, kind="a"), event(2, 1, kind="a", user=2)], [event(3, 5000, kind="b", user=2)], [event(4, 5001, kind="b", user=2)], [event(5, 5002, kind="b", user=1)])
+    got = [(r["user_id"], r["before"], r["after"]) for r in S.drain(S.verdict_changes(s, forget="1 day")).orderBy("user_id", "ts").collect()]
+    assert got[:2] == [(1, None, "a"), (1, None, "b")]
+
+
 def test_twin_feed_meets_across_batches(feed):
     s = feed([event(1, 0, user=1)], [event(2, 20, user=2), event(3, 40, user=3), event(4, 10, user=4, kind="buy")])
     assert sorted(tuple(r) for r in S.drain(S.twin_feed(s)).select("a_id", "b_id").collect()) == [(1, 2), (2, 3)]
