@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import io
 import os
 import tempfile
@@ -92,6 +93,12 @@ def drop_cut(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def free_shuffles(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete the shuffle files that no plan needs any more; by itself it waits until the driver's heap is full."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def connected_components(edges: DataFrame) -> DataFrame:
     """``edges(a, b)`` → ``(id, component_id)``: the smallest id that each node reaches.
 

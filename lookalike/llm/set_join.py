@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import connected_components, cut, name_components, ship, sorted_groups
+from .common import connected_components, cut, drop_cut, free_shuffles, name_components, ship, sorted_groups
 
 WIDTH = 5
 #: Coordinates of a sketch, 16 bits each.
@@ -191,23 +191,27 @@ def _edges_of(ids: np.ndarray, root: np.ndarray) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array(centre[keep]), pa.array(i[keep])], names=EDGES.names)
 
 
-def search_groups(rows: DataFrame, key: str, make_near, block: int, pair_block: int) -> DataFrame:
+def search_groups(rows: DataFrame, key: str, make_near, block: int, pair_block: int, attach=None, payload: list[str] | None = None) -> DataFrame:
     """Edges ``a, b`` that connect all rows of a group which the predicate links; ``rows`` has ``key``, ``rid`` and payload.
 
-    ``make_near(table)`` builds ``near(i, rest)`` over an Arrow table of payload columns. Groups up
+    ``make_near(table)`` builds ``near(i, rest)`` over an Arrow table of payload columns. Where those
+    are wide, ``attach`` adds the columns ``payload`` to rows that have been dealt, so that ids alone are
+    grouped and a payload travels to its row and to its block, no more often. Groups up
     to ``block`` rows are one task's; a larger one is dealt to such blocks by hash. In the first pass a
     block also gets the group's hubs, the ``HUBS`` rows with the smallest hashes. In the second,
     rows outside the group's largest part so far meet each other and that part, in pairs of blocks of ``pair_block`` rows;
     parts that the first pass joined are not compared again. No link is lost: two linked rows lie in
     one part after the first pass, or meet in the second.
     """
-    payload = [c for c in rows.columns if c not in (key, "rid")]
+    light = [c for c in rows.columns if c not in (key, "rid")]
+    payload, attach = payload or light, attach or (lambda r: r)
     order = [F.min(F.struct(F.xxhash64("rid", F.lit(h)), "rid"))["rid"] for h in range(HUBS)]
     sized = cut(rows.groupBy(key).agg(F.count("*").alias("members"), F.array(*order).alias("hubs")).filter("members > 1"), "groups")
     nb = F.ceil(F.col("members") / block).cast("int")
     r = rows.join(sized, key).withColumn("nb", nb).withColumn("own", F.pmod(F.xxhash64("rid", F.lit(5)), F.col("nb")).cast("int"))
     where = F.when((F.col("nb") > 1) & F.array_contains("hubs", F.col("rid")), F.sequence(F.lit(0), F.col("nb") - 1)).otherwise(F.array("own"))
-    r = r.select(key, F.explode(where).alias("block"), "rid", *payload).select(F.xxhash64(key, "block").alias("grp"), "rid", *payload)
+    r = r.select(F.transform(where, lambda b: F.xxhash64(F.col(key), b)).alias("grps"), "rid", *light)
+    r = attach(r).select(F.explode("grps").alias("grp"), "rid", *payload)
 
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in sorted_groups(batches):
@@ -215,6 +219,7 @@ def search_groups(rows: DataFrame, key: str, make_near, block: int, pair_block:
                 yield e
 
     edges = cut(r.repartition("grp").sortWithinPartitions("grp").mapInArrow(first, EDGES).distinct(), "edges")
+    free_shuffles(rows.sparkSession)
     big = sized.filter(F.col("members") > block).select(key)
     if big.isEmpty():
         return edges
@@ -235,8 +240,9 @@ def search_groups(rows: DataFrame, key: str, make_near, block: int, pair_block:
     to_main = F.transform(each("ng"), lambda o: F.xxhash64(F.col(key), F.lit(2), F.col("own"), o))
     to_outer = F.transform(each("nl"), lambda o: F.xxhash64(F.col(key), F.lit(2), o, F.col("own")))
     kind = F.when(F.col("outer"), F.concat(F.transform(among, lambda g: F.struct(g.alias("grp"), F.lit(1).alias("kind"))), F.transform(to_main, lambda g: F.struct(g.alias("grp"), F.lit(2).alias("kind"))))).otherwise(F.transform(to_outer, lambda g: F.struct(g.alias("grp"), F.lit(2).alias("kind"))))
-    m = m.select(F.col(key).alias("__k"), F.col("rid").alias("__r"), "part", "outer", F.explode(kind).alias("__g"))
-    r = rows.join(m, (F.col(key) == F.col("__k")) & (F.col("rid") == F.col("__r"))).select("__g.grp", "__g.kind", "rid", "part", "outer", *payload)
+    m = m.select(F.col(key).alias("__k"), F.col("rid").alias("__r"), "part", "outer", kind.alias("__gs"))
+    r = rows.join(m, (F.col(key) == F.col("__k")) & (F.col("rid") == F.col("__r"))).drop(key, "__k", "__r")
+    r = attach(r).select(F.explode("__gs").alias("__g"), "rid", "part", "outer", *payload).select("__g.grp", "__g.kind", "rid", "part", "outer", *payload)
 
     def second(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in sorted_groups(batches):
@@ -257,27 +263,37 @@ def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf
     spark = reps.sparkSession
     least = max(1, math.floor(COORDS * (similarity - SLACK * math.sqrt(similarity * (1 - similarity) / COORDS))))
 
+    def with_tokens(rows: DataFrame) -> DataFrame:
+        """``node, rid`` and the tokens at the two coordinates that the node chooses: the sketch stays behind."""
+        at = lambda b: _token(F.pmod(F.xxhash64("node", F.lit(b)), F.lit(COORDS)).cast("int"))
+        return cut(rows.select("node", "rid", at(1).alias("t1"), at(2).alias("t2")), "level")
+
     roots = F.explode(F.array(*[F.xxhash64(F.lit(t), _token(F.lit(t))) for t in range(trees)]))
-    level, leaves = reps.select(roots.alias("node"), "rid", "n", "sketch"), []
-    coords = [F.pmod(F.xxhash64("node", F.lit(b)), F.lit(COORDS)).cast("int") for b in (1, 2)]
+    level, leaves, made = with_tokens(reps.select(roots.alias("node"), "rid", "sketch")), [], []
     for d in range(depth + 1):
+        made.append(level)
         sized = cut(level.groupBy("node").agg(F.count("*").alias("members")).filter("members > 1"), "nodes")
+        made.append(sized)
         large = sized.filter(F.col("members") > leaf)
         if d == depth or large.isEmpty():
-            leaves.append(level.join(sized, "node"))
+            leaves.append(level.join(sized, "node").select("node", "rid"))
             break
         # two branches thin a node only where no token is held by half of it; near copies are a leaf of any size
-        top = level.join(large, "node").groupBy("node", "members", _token(coords[0]).alias("token")).agg(F.count("*").alias("holders"))
+        top = level.join(large, "node").groupBy("node", "members", "t1").agg(F.count("*").alias("holders"))
         thick = top.groupBy("node", "members").agg(F.max("holders").alias("most")).filter("2 * most > members").select("node")
         split = cut(large.join(thick, "node", "left_anti").select("node"), "split")
-        leaves.append(level.join(sized.join(split, "node", "left_anti"), "node"))
+        leaves.append(level.join(sized.join(split, "node", "left_anti"), "node").select("node", "rid"))
         if split.isEmpty():
             break
-        branches = F.array(*[F.xxhash64("node", F.lit(b), _token(c)) for b, c in zip((1, 2), coords, strict=True)])
-        level = cut(level.join(split, "node").select(F.explode(branches).alias("node"), "rid", "n", "sketch"), "level")
+        branches = F.array(*[F.xxhash64("node", F.lit(b), F.col(f"t{b}")) for b in (1, 2)])
+        level = with_tokens(level.join(split, "node").select(F.explode(branches).alias("node"), "rid").join(reps.select("rid", "sketch"), "rid"))
     found = leaves[0]
     for more in leaves[1:]:
         found = found.union(more)
+    found = cut(found, "found")
+    for old in made:
+        drop_cut(old)
+    free_shuffles(spark)
 
     def make_near(t: pa.Table):
         n = t.column("n").to_numpy()
@@ -292,7 +308,10 @@ def candidate_edges(reps: DataFrame, similarity: float, trees: int = TREES, leaf
 
         return near
 
-    return search_groups(found.select("node", "rid", "n", "sketch"), "node", make_near, SKETCH_ROWS, SKETCH_ROWS)
+    edges = cut(search_groups(found, "node", make_near, SKETCH_ROWS, SKETCH_ROWS, lambda r: r.join(reps.select("rid", "n", "sketch"), "rid"), ["n", "sketch"]).distinct(), "candidates")
+    drop_cut(found)
+    free_shuffles(spark)
+    return edges
 
 
 def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_col: str, text_col: str, width: int) -> DataFrame:
@@ -302,8 +321,7 @@ def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_c
     are told apart by the digest of their set: a text that is not the member's has no set here.
     """
     percent = round(similarity * 100)
-    m = members.select(F.col("doc_id").alias("__id"), "rid", "digest", "group_id")
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).join(m, F.col("doc_id") == F.col("__id"))
+    texts = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).cast("string").alias("text"))
     none = np.zeros(0, np.uint64)
 
     def make_near(t: pa.Table):
@@ -333,7 +351,8 @@ def confirmed_edges(docs: DataFrame, members: DataFrame, similarity: float, id_c
 
         return near
 
-    return search_groups(rows.select("group_id", "rid", "text", "digest"), "group_id", make_near, TEXT_ROWS, PAIR_ROWS)
+    attach = lambda r: r.join(texts, F.col("doc_id") == F.col("__id"))
+    return search_groups(members.select("group_id", "rid", "doc_id", "digest"), "group_id", make_near, TEXT_ROWS, PAIR_ROWS, attach, ["text", "digest"])
 
 
 def row_classes(docs: DataFrame, id_col: str, text_col: str, similarity: float, width: int, trees: int) -> tuple[DataFrame, DataFrame]:
@@ -345,10 +364,13 @@ def row_classes(docs: DataFrame, id_col: str, text_col: str, similarity: float,
     sk = cut(sketches(docs, id_col, text_col, width).withColumn("rid", F.monotonically_increasing_id()), "sketches")
     named = sk.filter("doc_id is not null and n > 0")
     classes = cut(named.groupBy("digest").agg(F.min("rid").alias("node")), "classes")
-    reps = named.join(classes.select("node"), F.col("rid") == F.col("node"), "left_semi").select("rid", "doc_id", "n", "digest", "sketch")
+    reps = cut(named.join(classes.select("node"), F.col("rid") == F.col("node"), "left_semi").select("rid", "doc_id", "n", "digest", "sketch"), "reps")
     groups = cut(connected_components(candidate_edges(reps.select("rid", "n", "sketch"), similarity, trees)), "groups")
-    members = groups.select(F.col("id").alias("rid"), F.col("component_id").alias("group_id")).join(reps.select("rid", "doc_id", "digest"), "rid")
+    members = cut(groups.select(F.col("id").alias("rid"), F.col("component_id").alias("group_id")).join(reps.select("rid", "doc_id", "digest"), "rid"), "members")
+    drop_cut(reps)
+    free_shuffles(docs.sparkSession)
     links = cut(confirmed_edges(docs, members, similarity, id_col, text_col, width), "links")
+    free_shuffles(docs.sparkSession)
     rows = sk.select(F.col("doc_id").alias("id"), "n", "digest", "text_md5", "rid")
     known = rows.join(classes.withColumnRenamed("node", "__n"), "digest", "left")
     node = F.when((F.col("n") > 0) & F.col("id").isNotNull(), F.col("__n")).otherwise(F.col("rid"))

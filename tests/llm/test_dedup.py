@@ -149,6 +149,26 @@ def test_search_groups_equals_brute_force(spark):
     assert {i: got.get(i, i) for i in want} == want
 
 
+def test_payloads_join_each_row_once(spark):
+    """Ids are grouped and dealt without the payload, which then joins a row once, a hub of many blocks too."""
+    data = [(g, g * 100 + i, i // 2) for g, n in ((1, 60), (2, 5)) for i in range(n)]
+    df = spark.createDataFrame(data, "g long, rid long, v long")
+    asked = []
+
+    def attach(r):
+        asked.append(sorted(x["rid"] for x in r.select("rid").collect()))
+        assert "v" not in r.columns
+        return r.join(df.select("rid", "v"), "rid")
+
+    def make_near(t):
+        v = t.column("v").to_numpy()
+        return lambda i, rest: np.abs(v[rest] - v[i]) <= 1
+
+    found = set_join.search_groups(df.select("g", "rid"), "g", make_near, 4, 6, attach, ["v"])
+    got = {r["id"]: r["component_id"] for r in connected_components(found).collect()}
+    assert got == {r: g * 100 for g, r, _ in data} and asked[0] == sorted(r for _, r, _ in data)
+
+
 def test_repeated_and_large_ids_of_texts(spark):
     big, a, b = 6 * 10**18, "p q r s t u v", "a b c d e f g"
     data = [(5, a), (5, b), (3, a), (9, b), (big + 1, "x y"), (big + 2, "x y"), (big + 3, "X Y"), (7, None), (7, "one two three"), (8, "one two three")]
