@@ -55,3 +55,13 @@ def test_repeated_ids_fall_back_to_edges(spark):
     twice = nodes.select("node_id", "a", "b").union(spark.createDataFrame([(0, 1, 1)], "node_id long, a int, b int"))
     g = implicit.key_graph(nodes, twice, "node_id", ["a", "b"])
     assert not hasattr(g, "mean") and sorted(map(tuple, g.edges.collect())) == sorted(map(tuple, graph.shared_key(twice, "node_id", ["a", "b"]).collect()))
+
+
+def test_pairs_of_one_key_are_not_shuffled(spark):
+    """Only items are dealt out: no aggregation stands above the join."""
+    nodes = points(spark).select("node_id", "a", "b")
+    pairs = graph.shared_key(nodes, "node_id", ["a", "b"], block=2)
+    rows = [tuple(r) for r in nodes.collect()]
+    assert sorted(map(tuple, pairs.collect())) == sorted((i, j) for i, *k in rows for j, *m in rows if i < j and k == m and None not in k)
+    plan = pairs._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" not in plan[: plan.index("Join")]
