@@ -65,3 +65,46 @@ def test_pairs_of_one_key_are_not_shuffled(spark):
     assert sorted(map(tuple, pairs.collect())) == sorted((i, j) for i, *k in rows for j, *m in rows if i < j and k == m and None not in k)
     plan = pairs._jdf.queryExecution().optimizedPlan().toString()
     assert "Aggregate" not in plan[: plan.index("Join")]
+
+
+def test_models_over_implicit_graphs_make_no_edges(spark, monkeypatch):
+    """A convolution, and a fit on a sample, against the same with all edges; sums over groups that are dealt out too."""
+    from lookalike.models import layers, train
+
+    nodes = points(spark)
+    plain = nodes.select("node_id", "x", "label", "split")
+    w = layers.closed_form(4, 3)
+    edges = graph.shared_key(nodes, "node_id", ["a", "b"])
+    whole, g = AnchoredGraph(plain, edges), implicit.key_graph(plain, nodes, "node_id", ["a", "b"])
+    near = implicit.near_graph(plain, 0.3)
+    for made, both in ((g, graph.symmetrize(edges)), (near, graph.symmetrize(graph.epsilon(nodes, 0.3)))):
+        same(by_id(layers.gcn_of(made, plain, w), "x"), by_id(layers.gcn(plain, both, w), "x"))
+    ids = plain.filter("node_id % 2 = 0")
+    assert sorted(map(tuple, g.among(ids).collect())) == sorted(map(tuple, whole.among(ids).collect()))
+    assert sorted(map(tuple, near.among(ids).collect())) == sorted(map(tuple, AnchoredGraph(plain, graph.epsilon(nodes, 0.3)).among(ids).collect()))
+    model = train.fit("gcn", whole, epochs=5)
+    want = {r["node_id"]: r["verdict"] for r in model.predict(whole).collect()}
+    sigs = by_id(similarity.signatures(whole), "sig")
+    monkeypatch.setattr(implicit.ImplicitGraph, "edges", property(lambda self: 1 / 0))
+    assert {r["node_id"]: r["verdict"] for r in train.fit("gcn", g, epochs=5).predict(g).collect()} == want
+    monkeypatch.setattr(implicit, "tasks_can_read", lambda path: False)
+    same(by_id(similarity.signatures(g), "sig"), sigs)
+
+
+def test_spread_equals_edge_by_edge(monkeypatch):
+    from lookalike.models import train
+
+    rng = np.random.default_rng(1)
+    n = 40
+    cliques = np.equal.outer(np.arange(n) % 4, np.arange(n) % 4) & ~np.eye(n, dtype=bool)
+    loose = rng.random((n, n)) < 0.2
+    loose = np.triu(loose, 1) | np.triu(loose, 1).T
+    monkeypatch.setattr(train, "GATHER", 50)  # what is gathered at a time is bounded
+    for adj, classes in ((cliques, 4), (loose, None), (np.zeros((n, n), bool), n), (cliques & (loose | ~(np.arange(n) < 3)), None)):
+        src, dst = np.nonzero(adj & adj.T)
+        for times in (1, 2):  # edges that repeat count as often
+            none = np.zeros(n, bool)
+            s = train.Sample(np.arange(n), rng.standard_normal((n, 5)), np.zeros(n, int), none, none, np.tile(src, times), np.tile(dst, times))
+            spread = train.Spread(s)
+            assert np.allclose(spread(s.x), train.propagate(s.x, s, 1 / np.sqrt(np.bincount(s.src, minlength=n) + 1.0)))
+            assert classes is None or times > 1 or len(spread.a) == classes
