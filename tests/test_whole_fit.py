@@ -67,3 +67,11 @@ def test_candidates_are_of_layers_fitted_on_all(asked, whole):
     got = Q.candidates_per_query(asked, "").toArrow().sort_by("v")
     assert got.num_rows == MANY
     assert (got.column("candidates").to_numpy() == held[home, at[home, np.arange(MANY)], verdict]).mean() > 0.999  # the last digit of a sum may part a tie
+
+
+def test_homes_are_of_layers_fitted_on_all(asked, whole):
+    at, home = homes(*whole)
+    got = Q.choose_home(asked, "").toArrow().sort_by("node_id")
+    assert got.num_rows == MANY
+    right = (got.column("layer").to_numpy() == home + 1) & (got.column("cluster").to_numpy() == at[home, np.arange(MANY)])
+    assert right.mean() > 0.999
