@@ -75,3 +75,11 @@ def test_homes_are_of_layers_fitted_on_all(asked, whole):
     assert got.num_rows == MANY
     right = (got.column("layer").to_numpy() == home + 1) & (got.column("cluster").to_numpy() == at[home, np.arange(MANY)])
     assert right.mean() > 0.999
+
+
+def test_plain_weights_are_of_a_layer_fitted_on_all(asked, whole):
+    x = whole[0]
+    mu = cluster.fit_layers(np.arange(MANY), x, replace(Q.SPEC, p=0, include_seed=True)).centroids[0]
+    got = Q.boundary_weight(asked, "").toArrow().sort_by("node_id")
+    want = cluster.weigh(cluster.nearest(x, mu)[1], 3, Q.SPEC)
+    assert got.num_rows == MANY and np.allclose(got.column("weight").to_numpy(), want, rtol=0, atol=1e-6)
