@@ -59,3 +59,25 @@ def test_rounds_leave_one_table(spark):
     assert sigs.count() == 61 and len(paths) > 3 and sum("/round-" in p or "/rows-" in p for p in kept) == 1
     drop(spark, kept)
     assert not any(map(kernels.tasks_can_read, kept))
+
+
+def test_small_blocks_of_cells_shuffle_a_vector_once(spark, monkeypatch):
+    rng = random.Random(8)
+    rows = [(rng.choice([0, 1, 5, 1 << 32]), i, rng.choice([0, 1, 2, None]), [rng.choice([-1.0, 0.0, 0.5, 1.0]) for _ in range(3)]) for i in range(300)]
+    members = spark.createDataFrame(rows, "cell long, node_id long, verdict int, sig array<double>")
+    queries = members.filter("node_id % 2 = 0 or cell = 5").union(members.limit(1).selectExpr("77L", "900L", "1", "sig"))
+    found = kernels.blocked_topk(queries, members, 4, block=7)
+    assert "explode" not in found._jdf.queryExecution().optimizedPlan().toString()  # a vector per block was
+    want = {}
+    for cell, v, own, x in rows:
+        far = sorted((-round(float(np.dot(x, y)), 9) + 0.0, u) for there, u, other, y in rows if there == cell and None not in (own, other) and own != other)
+        if far and (v % 2 == 0 or cell == 5):
+            want[v] = [(u, round(-s, 6) + 0.0) for s, u in far[:4]]
+    for readable in (True, False):
+        with monkeypatch.context() as m:
+            if not readable:
+                m.setattr(kernels, "tasks_can_read", lambda path: False)
+            got = {}
+            for r in scan.merge_topk(kernels.blocked_topk(queries, members, 4, block=7), 4).orderBy("v", "rank").collect():
+                got.setdefault(r["v"], []).append((r["u"], r["sim"]))
+            assert got == want
